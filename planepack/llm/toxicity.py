@@ -16,17 +16,17 @@ rows); repeated labels of a document count by their maximum.
 from __future__ import annotations
 
 import re
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common as C
 
 CHAIN = ("low_quality", "toxic")
-SAMPLE, FEATURES, FOLDS, L2 = 8_000, 600, 3, 0.05
+SAMPLE, FEATURES, FOLDS, L2 = 6_000, 600, 3, 0.05
 WORD = re.compile(r"[^\W_]+")
 WORD_CACHE = 300_000
 
@@ -39,6 +39,10 @@ def words_of(text: str | None) -> set[str]:
     return set(WORD.findall(text.lower())) if text else set()
 
 
+def _hashed(text: str | None) -> np.ndarray:
+    return np.fromiter((xxhash.xxh3_64_intdigest(f) for w in words_of(text) for f in features_of(w)), np.uint64)
+
+
 def _sigmoid(z):
     return 1.0 / (1.0 + np.exp(-np.clip(z, -35, 35)))
 
@@ -55,7 +59,8 @@ def fit_linear(x: np.ndarray, extra: np.ndarray, y: np.ndarray, rows: np.ndarray
         return w
     # the steepest curvature of the scaled problem, by a few power iterations
     scale = np.sqrt(0.25 * (a**2).sum(0) + L2).astype(np.float32)
-    b = a / scale
+    a /= scale
+    b = a
     v = np.ones(a.shape[1], np.float32)
     for _ in range(12):
         v /= np.linalg.norm(v)
@@ -96,23 +101,44 @@ class Chain:
     def __init__(self, names, texts: list[str], labels: np.ndarray, features: int = FEATURES, folds: int = FOLDS):
         self.names = list(names)
         m = len(self.names)
-        rows = [Counter(f for w in words_of(t) for f in features_of(w)) for t in texts]
-        df = Counter(f for r in rows for f in r)
+        rows = [_hashed(t) for t in texts]
         n = max(1, len(rows))
-        index: dict[str, int] = {}
+        owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
+        flat = np.concatenate(rows) if rows else np.empty(0, np.uint64)
+        del rows
+        # one entry per row and feature, with the number of the row's words that have it
+        order = np.lexsort((owner, flat))
+        flat, owner = flat[order], owner[order]
+        new = np.concatenate([[True], (flat[1:] != flat[:-1]) | (owner[1:] != owner[:-1])]) if len(flat) else np.empty(0, bool)
+        at = np.nonzero(new)[0]
+        count = np.diff(np.concatenate([at, [len(flat)]])).astype(np.float32)
+        flat, owner = flat[at], owner[at]
+        kinds, first, df = np.unique(flat, return_index=True, return_counts=True)
+        kept = np.zeros(len(kinds), bool)
         for c in range(m):
-            y = labels[:, c] if len(rows) else np.zeros(0)
-            pos = Counter(f for r, v in zip(rows, y, strict=True) if v for f in r)
-            rate = float(y.mean()) if len(rows) else 0.0
-            score = {f: (pos[f] - d * rate) ** 2 / (d * rate * (1 - rate) + 1e-9) * (1 - d / n) for f, d in df.items() if d >= 3} if 0 < rate < 1 else {}
-            for f in sorted(score, key=lambda f: (-score[f], f))[:features]:
-                index.setdefault(f, len(index))
-        x = np.zeros((len(rows), len(index)), np.float32)
-        for i, r in enumerate(rows):
-            for f in r.keys() & index.keys():
-                x[i, index[f]] = r[f]
-        del rows[:]
+            y = labels[:, c].astype(float) if len(texts) else np.zeros(0)
+            rate = float(y.mean()) if len(texts) else 0.0
+            if 0 < rate < 1:
+                pos = np.add.reduceat(y[owner], first)
+                score = np.where(df >= 3, (pos - df * rate) ** 2 / (df * rate * (1 - rate)) * (1 - df / n), -1.0)
+                kept[np.lexsort((kinds, -score))[:features]] |= True
+            kept &= df >= 3
+        chosen = kinds[kept]
+        column = np.cumsum(kept) - 1
+        inverse = np.repeat(np.arange(len(kinds)), df)
+        take = kept[inverse]
+        x = np.zeros((len(texts), len(chosen)), np.float32)
+        x[owner[take], column[inverse[take]]] = count[take]
+        names_of = {}
+        wanted = set(chosen.tolist())
+        for t in texts:
+            for w in words_of(t):
+                for f in features_of(w):
+                    if (h := xxhash.xxh3_64_intdigest(f)) in wanted:
+                        names_of[h] = f
+        index = {names_of[h]: i for i, h in enumerate(chosen.tolist())}
         rows = range(len(texts))
+        del flat, owner, count, inverse, take, order
         fold = np.arange(len(rows)) % folds
         extra = np.zeros((len(rows), 0))
         self.bias, self.chained, weights = [], [], []
@@ -149,8 +175,9 @@ def fit_chain(docs: DataFrame, labels: DataFrame, names=CHAIN, sample: int = SAM
     col = {"low_quality": 1 - F.col("quality")}
     picked = labels.filter("doc_id is not null").groupBy("doc_id").agg(*(F.max(col.get(n, F.col(n) if n in labels.columns else F.lit(None))).cast("int").alias(n) for n in names)).dropna()
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).withColumnRenamed("doc_id", "__id")
-    rows = docs.select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("__id")).filter("text is not null").select("doc_id", "text", *names).toPandas().sort_values("doc_id")
-    return Chain(names, rows["text"].tolist(), rows[list(names)].to_numpy(), FEATURES)
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("__id")).filter("text is not null").select("doc_id", "text", *names).toArrow().sort_by("doc_id")
+    labels = np.column_stack([rows[n].to_numpy() for n in names]) if rows.num_rows else np.zeros((0, len(names)))
+    return Chain(names, rows["text"].to_pylist(), labels, FEATURES)
 
 
 def score(docs: DataFrame, chain: Chain, threshold: float | None = None, filtering: bool = False) -> DataFrame:
