@@ -482,7 +482,7 @@ def digest_conversations(conversations: DataFrame, template: str = TEMPLATE) ->
         if rows:
             yield C.batch(_DIGEST, *map(list, zip(*rows, strict=True)))
 
-    return by_turn(conversations).mapInArrow(run, DIGEST_DDL)
+    return by_turn(conversations).transform(C.arrow, run, DIGEST_DDL)
 
 
 _FORMATTED = pa.schema([("conv_id", pa.int64()), ("part", pa.int32()), ("formatted", pa.string()), ("mask", pa.list_(pa.list_(pa.int64())))])
@@ -506,7 +506,7 @@ def format_conversations(conversations: DataFrame, template: str = TEMPLATE, par
             if out:
                 yield C.batch(_FORMATTED, [conv], [part], ["".join(out)], [mask])
 
-    return by_turn(conversations).mapInArrow(run, "conv_id long, part int, formatted string, mask array<array<long>>")
+    return by_turn(conversations).transform(C.arrow, run, "conv_id long, part int, formatted string, mask array<array<long>>")
 
 
 #: The fixed conversation whose texts hold control strings.

@@ -3,6 +3,9 @@ broadcasts, and connected components over a distributed edge list."""
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 
@@ -56,6 +59,26 @@ def small(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if rows <= limit else df
 
 
+#: Rows of an Arrow batch between the JVM and Python workers: bounds both sides' memory on long texts.
+ARROW_ROWS = 2000
+
+
+def arrow(df: DataFrame, fn, ddl) -> DataFrame:
+    """``mapInArrow`` in small batches, whose worker gives its memory back to the system when a task ends."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", ARROW_ROWS)
+
+    def run(batches):
+        try:
+            yield from fn(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return df.mapInArrow(run, ddl)
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A 64-bit finaliser (shift-multiply avalanche), vectorised; uint64 wraps around."""
     x = x.astype(np.uint64, copy=True)
@@ -117,7 +140,7 @@ def _local_forest(batches):
 
 
 def forest_of(edges: DataFrame) -> DataFrame:
-    return edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).mapInArrow(_local_forest, "a long, b long")
+    return edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).transform(arrow, _local_forest, "a long, b long")
 
 
 def components(edges: DataFrame, local_edges: int = LOCAL_EDGES) -> DataFrame:

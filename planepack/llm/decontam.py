@@ -28,7 +28,7 @@ WIDTH = 10
 MAX_BENCHMARK_CHARS = 200_000_000
 #: A-Z lower-cased, every other ASCII byte that is no letter or digit becomes a space.
 NORMAL = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c > 127 else 32 for c in range(256))
-VOCAB_CACHE = 500_000
+VOCAB_CACHE = 200_000
 
 
 def words_of(text: bytes | None) -> list[bytes]:
@@ -189,7 +189,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame
                     x.append(y)
             yield C.batch(schema, r.column(0), *(pa.array(x, f.type) for x, f in zip(out, list(schema)[1:5], strict=True)), pa.array([h > 0 for h in out[1]], pa.bool_()))
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(C.arrow, run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
 
 #: The byte ranges of the words of a text, in step with words_of().
@@ -232,7 +232,7 @@ def remove_spans(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, min_
             col = pa.array(new, pa.large_binary()).cast(pa.large_string()).cast(r.schema.field(at).type)
             yield r.set_column(at, r.schema.field(at), col).filter(keep)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.transform(C.arrow, run, docs.schema)
 
 
 def op5(spark, sf_dir):

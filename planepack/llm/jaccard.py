@@ -7,8 +7,10 @@ A document becomes its set of n-word shingles (64-bit hashes).  Two documents li
 2. Nodes that could link are brought together by an exact signature: inside a size band the hash space is cut
    into parts; linked sets differ in at most K elements, so among the first K + 1 non-empty parts (in the order
    of the parts' own hashes) at least one is equal.  A set with too few non-empty parts for that argument
-   also emits its first K + 1 single n-grams; a pair of such sets shares one of those.  Equal signatures inside an Arrow
-   batch collapse to one row before the shuffle, so a hot signature sends one row a batch.
+   also emits its first K + 1 single n-grams; a pair of such sets shares one of those.  A signature that many sets of a batch
+   have sends one row for them all, so a hot one sends a row a batch.  Sets that share a signature are then held against
+   each other's sizes and parity sketches, which bound the difference from below: most chance meetings (a shared
+   passage) end here.
 3. Components of the signature graph (a superset of the links) bound which sets have to meet.  One task gets the
    sets of a component; a component above ``block_tokens`` n-grams is cut into blocks and every pair of blocks
    meets, so memory stays bounded and no link is lost.
@@ -36,7 +38,7 @@ from . import common as C
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Distinct words whose hashes a worker keeps.
-WORD_CACHE = 500_000
+WORD_CACHE = 200_000
 
 
 class WordHashes(dict):
@@ -98,69 +100,168 @@ def _texts(r: pa.RecordBatch, i: int) -> list:
     return col.cast(pa.large_binary()).to_pylist()
 
 
+#: Members of one signature in a batch from which they travel as one row, and members of a signature that are compared by sketches.
+HOT, GROUP = 64, 20_000
+
+
+def sketch(s: np.ndarray) -> bytes:
+    """Parity of the n-grams per hash bucket, as many buckets as the power of two above the set's size.
+
+    Two sets differ in at least as many n-grams as their sketches in bits; halving a sketch by xor gives the smaller one.
+    """
+    size = 64
+    while size < len(s) and size < 65536:
+        size *= 2
+    odd = np.bincount((s & np.uint64(size - 1)).astype(np.int64), minlength=size) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def sketch_forest(sizes: np.ndarray, sketches: list[bytes], num: int, den: int) -> list[tuple[int, int]]:
+    """Spanning links of the sets that their sizes and sketches do not keep apart: a superset of the true links."""
+    words = min(map(len, sketches)) // 8
+    m = np.empty((len(sketches), words), np.uint64)
+    for i, x in enumerate(sketches):
+        v = np.frombuffer(x, np.uint64)
+        while len(v) > words:
+            v = v[: len(v) // 2] ^ v[len(v) // 2 :]
+        m[i] = v
+    left, out = np.arange(1, len(sketches)), []
+    todo = [0]
+    while len(left):
+        if not todo:
+            todo, left = [int(left[0])], left[1:]
+            continue
+        q = todo.pop()
+        n, k = sizes[left], sizes[q]
+        near = (np.bitwise_count(m[left] ^ m[q]).sum(1) * (den + num) <= (n + k) * (den - num)) & (np.minimum(n, k) * den >= np.maximum(n, k) * num)
+        for y in left[near].tolist():
+            todo.append(y)
+            out.append((q, y))
+        left = left[~near]
+    return out
+
+
 def _sizes(batches, n):
     hashes = WordHashes()
-    schema = pa.schema([("__id", pa.int64()), ("__n", pa.int64()), ("__fp", pa.int64())])
+    schema = pa.schema([("__id", pa.int64()), ("__n", pa.int64()), ("__fp", pa.int64()), ("__sketch", pa.binary())])
     for r in batches:
-        sizes, fps = [], []
+        sizes, fps, marks = [], [], []
         for t in _texts(r, 1):
             s = shingles(t, n, hashes)
             sizes.append(len(s))
             fps.append(fingerprint(s) if len(s) else None)
-        yield C.batch(schema, r.column(0), pa.array(sizes, pa.int64()), pa.array(fps, pa.int64()))
+            marks.append(sketch(s) if len(s) else None)
+        yield C.batch(schema, r.column(0), pa.array(sizes, pa.int64()), pa.array(fps, pa.int64()), pa.array(marks, pa.binary()))
 
 
 _SIG = pa.schema([("sig", pa.int64()), ("a", pa.int64()), ("b", pa.int64())])
+#: Documents whose signatures are sorted together before they leave a task.
+BATCH = 2500
 
 
 def _signed(batches, n, num, den):
-    """Rows (sig, node, null) for the shuffle and (null, node, node) for nodes that already met in the batch."""
+    """(sig, node, null); (sig, node, node) where a node stands for many of its batch, and then (null, node, node) for those."""
     hashes = WordHashes()
-    for r in batches:
-        sigs, fps, seen = [], [], set()
-        for t in _texts(r, 0):
-            s = shingles(t, n, hashes)
-            if len(s) and (fp := fingerprint(s)) not in seen:
-                seen.add(fp)
-                x = signatures(s, num, den)
-                sigs.append(x)
-                fps.append(np.full(len(x), fp, np.int64))
-        if not sigs:
-            continue
-        sig, fp = np.concatenate(sigs), np.concatenate(fps)
-        order = np.argsort(sig, kind="stable")
-        sig, fp = sig[order], fp[order]
-        same = np.concatenate([[False], sig[1:] == sig[:-1]])
-        first = np.maximum.accumulate(np.where(same, 0, np.arange(len(sig))))
-        pairs = np.unique(np.stack([fp[first[same]], fp[same]]), axis=1)
-        pairs = pairs[:, pairs[0] != pairs[1]]
-        keep = ~same
-        yield C.batch(_SIG, sig[keep].view(np.int64), fp[keep], pa.nulls(int(keep.sum()), pa.int64()))
-        if pairs.shape[1]:
-            yield C.batch(_SIG, pa.nulls(pairs.shape[1], pa.int64()), pairs[0], pairs[1])
+    for whole in batches:
+        for r in (whole.slice(lo, BATCH) for lo in range(0, whole.num_rows, BATCH)):
+            sigs, fps, seen = [], [], set()
+            for t in _texts(r, 0):
+                s = shingles(t, n, hashes)
+                if len(s) and (fp := fingerprint(s)) not in seen:
+                    seen.add(fp)
+                    x = signatures(s, num, den)
+                    sigs.append(x)
+                    fps.append(np.full(len(x), fp, np.int64))
+            if not sigs:
+                continue
+            sig, fp = np.concatenate(sigs), np.concatenate(fps)
+            order = np.argsort(sig, kind="stable")
+            sig, fp = sig[order], fp[order]
+            first = np.nonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))[0]
+            many = np.diff(np.concatenate([first, [len(sig)]]))
+            hot = np.repeat(many >= HOT, many)
+            lead = np.repeat(first, many)
+            keep = ~hot | (lead == np.arange(len(sig)))
+            yield C.batch(_SIG, sig[keep].view(np.int64), fp[keep], pa.array(fp[keep], mask=~hot[keep]))
+            if not keep.all():
+                pairs = np.unique(np.stack([fp[lead[~keep]], fp[~keep]]), axis=1)
+                yield C.batch(_SIG, pa.nulls(pairs.shape[1], pa.int64()), pairs[0], pairs[1])
+
+
+_MET = pa.schema([("g", pa.int64()), ("a", pa.int64()), ("b", pa.int64())])
 
 
 def _met(batches):
-    """Chain edges between the nodes of one signature; the task's share is bounded by how many partitions there are."""
-    sig, a, ea, eb = [], [], [], []
+    """Nodes that share a signature: (null, node, node) edges, or (group, node, null) members of a group still to be compared.
+
+    Groups with equal members are one group.  The task's share of signatures is bounded by how many partitions there are.
+    """
+    sig, node, stands, ea, eb = [], [], [], [np.empty(0, np.int64)], [np.empty(0, np.int64)]
     for r in batches:
         s, x, y = r.column(0), r.column(1).to_numpy(), r.column(2)
         edge = s.is_null().to_numpy(zero_copy_only=False)
         if edge.any():
             ea.append(x[edge])
-            eb.append(y.drop_null().to_numpy())
+            eb.append(y.fill_null(0).to_numpy()[edge])
         sig.append(s.drop_null().to_numpy())
-        a.append(x[~edge])
-    if sig:
-        s, x = np.concatenate(sig), np.concatenate(a)
-        order = np.argsort(s, kind="stable")
-        s, x = s[order], x[order]
-        same = (s[1:] == s[:-1]) & (x[1:] != x[:-1])
-        ea.append(x[:-1][same])
-        eb.append(x[1:][same])
-        lo, hi = np.concatenate(ea), np.concatenate(eb)
-        if len(lo):
-            yield C.batch(C._EDGE, *C.union_forest(*np.unique(np.stack([lo, hi]), axis=1)))
+        node.append(x[~edge])
+        stands.append(y.is_valid().to_numpy(zero_copy_only=False)[~edge])
+    if not sig:
+        return
+    s, x, h = np.concatenate(sig), np.concatenate(node), np.concatenate(stands)
+    order = np.lexsort((~h, x, s))
+    s, x, h = s[order], x[order], h[order]
+    new = np.concatenate([[True], (s[1:] != s[:-1]) | (x[1:] != x[:-1])]) if len(s) else np.empty(0, bool)
+    s, x, h = s[new], x[new], h[new]
+    first = np.nonzero(np.concatenate([[True], s[1:] != s[:-1]]))[0] if len(s) else np.empty(0, np.int64)
+    many = np.diff(np.concatenate([first, [len(s)]]))
+    whole = np.logical_or.reduceat(h, first) | (many > GROUP) if len(s) else np.empty(0, bool)
+    seen, gids, members = set(), [], []
+    for i, k, chain in zip(first[many > 1].tolist(), many[many > 1].tolist(), whole[many > 1].tolist(), strict=True):
+        m = x[i : i + k]
+        if (g := xxhash.xxh3_64_intdigest(m.tobytes()) >> 1) in seen:
+            continue
+        seen.add(g)
+        if chain:
+            ea.append(m[:-1])
+            eb.append(m[1:])
+        else:
+            gids.append((g, k))
+            members.append(m)
+    lo, hi = np.concatenate(ea), np.concatenate(eb)
+    if len(lo):
+        a, b = C.union_forest(*np.unique(np.stack([lo, hi]), axis=1))
+        yield C.batch(_MET, pa.nulls(len(a), pa.int64()), a, b)
+    if gids:
+        g = np.repeat(np.array([g for g, _ in gids], np.int64), [k for _, k in gids])
+        yield C.batch(_MET, g, np.concatenate(members), pa.nulls(len(g), pa.int64()))
+
+
+def _compared(batches, num, den):
+    """Groups arrive sorted: (g, node, size, sketch) -> edges that sizes and sketches allow."""
+    key, nodes, sizes, marks = None, [], [], []
+
+    def edges():
+        pairs = sketch_forest(np.array(sizes), marks, num, den) if len(nodes) > 1 else []
+        return [nodes[i] for i, _ in pairs], [nodes[j] for _, j in pairs]
+
+    a, b = [], []
+    for r in batches:
+        for g, node, n, mark in zip(*(r.column(i).to_pylist() for i in range(4)), strict=True):
+            if g != key:
+                for x, y in zip((a, b), edges(), strict=True):
+                    x += y
+                key, nodes, sizes, marks = g, [], [], []
+            nodes.append(node)
+            sizes.append(n)
+            marks.append(mark)
+        if len(a) > 100_000:
+            yield C.batch(C._EDGE, *C.union_forest(np.array(a), np.array(b)))
+            a, b = [], []
+    for x, y in zip((a, b), edges(), strict=True):
+        x += y
+    if a:
+        yield C.batch(C._EDGE, *C.union_forest(np.array(a), np.array(b)))
 
 
 class PrefixTree:
@@ -309,14 +410,18 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     if not 0 < num <= den or 2 * num <= den:
         raise ValueError("the threshold must lie above 1/2 and up to 1")
     base = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__text"))
-    sizes = C.written(base.mapInArrow(partial(_sizes, n=n), "__id long, __n long, __fp long"), "sizes")
+    sizes = C.written(base.transform(C.arrow, partial(_sizes, n=n), "__id long, __n long, __fp long, __sketch binary"), "sizes")
     total, rows = sizes.agg(F.coalesce(F.sum("__n"), F.lit(0)), F.count(F.lit(1))).first()
     per = max(1, round(total * (den - num) / num * 1.3))
     parts = max(8, -(-per // 1_000_000))
-    sigs = base.select("__text").mapInArrow(partial(_signed, n=n, num=num, den=den), "sig long, a long, b long")
-    met = sigs.repartition(parts, F.coalesce("sig", "a")).mapInArrow(_met, "a long, b long")
-    near = C.components(met, local_edges)
-    members = near.join(sizes.filter("__fp is not null").groupBy(F.col("__fp").alias("node")).agg(F.min("__id").alias("__id"), F.first("__n").alias("__n")), "node")
+    sigs = base.select("__text").transform(C.arrow, partial(_signed, n=n, num=num, den=den), "sig long, a long, b long")
+    met = C.written(sigs.repartition(parts, F.coalesce("sig", "a")).transform(C.arrow, _met, "g long, a long, b long"), "met")
+    nodes = sizes.filter("__fp is not null").groupBy(F.col("__fp").alias("node")).agg(F.min("__id").alias("__id"), F.first("__n").alias("__n"), F.first("__sketch").alias("__sketch"))
+    pending = met.filter("g is not null").select("g", F.col("a").alias("node")).distinct().join(nodes.select("node", "__n", "__sketch"), "node").select("g", "node", "__n", "__sketch")
+    compared = pending.repartition("g").sortWithinPartitions("g").transform(C.arrow, partial(_compared, num=num, den=den), "a long, b long")
+    near = C.components(met.filter("g is null").select("a", "b").union(compared), local_edges)
+    C.forget(met)
+    members = near.join(nodes.drop("__sketch"), "node")
     members = C.written(members, "members")
     heavy = members.groupBy("root").agg(F.sum("__n").alias("__sum")).filter(F.col("__sum") > block_tokens).select("root", F.ceil(F.col("__sum") * 2 / block_tokens).cast("int").alias("__blocks"))
     n_members = members.count()
@@ -327,10 +432,10 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     )
     placed = placed.withColumn("__group", F.explode(groups)).select("__id", F.col("node").alias("__node"), F.concat_ws(":", F.col("root").cast("string"), "__group").alias("__key"))
     brought = base.filter("__text is not null").withColumn("__at", F.coalesce("__id", F.lit(-(1 << 62)))).join(C.small(placed.withColumn("__at", F.coalesce("__id", F.lit(-(1 << 62)))).drop("__id"), n_members), "__at")
-    links = brought.select("__key", "__node", "__text").repartition(max(8, min(2048, -(-n_members // 2000))), "__key").sortWithinPartitions("__key").mapInArrow(partial(_joined, n=n, num=num, den=den), "a long, b long")
+    links = brought.select("__key", "__node", "__text").repartition(max(8, min(2048, -(-n_members // 2000))), "__key").sortWithinPartitions("__key").transform(C.arrow, partial(_joined, n=n, num=num, den=den), "a long, b long")
     true = C.components(links, local_edges)
     n_true = true.count()
-    keyed = sizes.join(C.small(true.select(F.col("node").alias("__fp"), F.col("root").alias("__root")), n_true), "__fp", "left").withColumn("__root", F.coalesce("__root", "__fp"))
+    keyed = sizes.select("__id", "__n", "__fp").join(C.small(true.select(F.col("node").alias("__fp"), F.col("root").alias("__root")), n_true), "__fp", "left").withColumn("__root", F.coalesce("__root", "__fp"))
     least = keyed.filter("__root is not null").groupBy("__root").agg(F.min("__id").alias("__least"), F.count(F.lit(1)).alias("__c")).filter("__c > 1")
     out = keyed.join(least, "__root", "left")
     C.forget(near)

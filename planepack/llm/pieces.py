@@ -34,7 +34,7 @@ MARK = "▁"
 UNIT = re.compile(r" *[^ \n]+|\n| +")
 SHIFT, THETA, BYTE_LOGP = 50.0, 1.0, -20.0
 #: Edges of kept unit lattices a worker may hold (12 bytes each, and the units themselves).
-MAX_EDGES = 6_000_000
+MAX_EDGES = 4_000_000
 ROWS = 256
 _vocab: dict[str, tuple] = {}
 _tries: dict[str, tuple] = {}
@@ -293,7 +293,7 @@ def _encode(batches, path, seed, theta, with_text):
 
 def encode(docs: DataFrame, model: str = MODEL, seed: int = 7, theta: float = THETA, decoded: bool = False) -> DataFrame:
     """Per row: doc_id, n_pieces, ids array<int>, lossless (the decoded ids equal the text), and the decoded text if asked for."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(partial(_encode, path=model, seed=seed, theta=theta, with_text=decoded), "doc_id long, n_pieces long, ids array<int>, lossless boolean" + ", decoded string" * decoded)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(C.arrow, partial(_encode, path=model, seed=seed, theta=theta, with_text=decoded), "doc_id long, n_pieces long, ids array<int>, lossless boolean" + ", decoded string" * decoded)
 
 
 def decode_ids(df: DataFrame, model: str = MODEL, ids: str = "ids") -> DataFrame:
@@ -305,7 +305,7 @@ def decode_ids(df: DataFrame, model: str = MODEL, ids: str = "ids") -> DataFrame
         for r in batches:
             yield C.batch(schema, r.column(0), pa.array([None if x is None else decode(x, raw) for x in r.column(1).to_pylist()], pa.string()))
 
-    return df.select("doc_id", ids).mapInArrow(run, "doc_id long, text string")
+    return df.select("doc_id", ids).transform(C.arrow, run, "doc_id long, text string")
 
 
 def op1(spark, sf_dir):

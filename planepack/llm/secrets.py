@@ -108,7 +108,7 @@ def scan_secrets(docs: DataFrame, vocabulary: str = VOCABULARY, max_ratio: float
             rows = [scan(t or "", vocabulary, max_ratio, seen) for t in r.column(1).to_pylist()]
             yield C.batch(schema, r.column(0), *(pa.array([sum(k == i for _, k, _ in b) for b, _ in rows], pa.int64()) for i in range(3)), pa.array([hashlib.sha256(joined(b).encode()).hexdigest() for b, _ in rows]), pa.array([joined(a) for _, a in rows], pa.string()))
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(C.arrow, run, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
 
 
 def redacted(text: str, spans) -> str:
@@ -130,7 +130,7 @@ def redact(docs: DataFrame, vocabulary: str = VOCABULARY, max_ratio: float = MAX
             new = [t if t is None else redacted(t, scan(t, vocabulary, max_ratio, seen)[1]) for t in r.column(at).to_pylist()]
             yield r.set_column(at, r.schema.field(at), pa.array(new, r.schema.field(at).type))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.transform(C.arrow, run, docs.schema)
 
 
 def op6(spark, sf_dir):

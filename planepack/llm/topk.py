@@ -124,7 +124,7 @@ def exact_topk(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding"
                 held.setdefault(length, []).append((ids, m))
         block = {x: (np.concatenate([i for i, _ in y]), np.concatenate([m for _, m in y])) for x, y in held.items()}
         block = {x: tuple(a[np.unique(i, return_index=True)[1]] for a in (i, m)) for x, (i, m) in block.items()}
-        found = rows.mapInArrow(_search(block, k), "query_id long, vec_id long, score long")
+        found = rows.transform(C.arrow, _search(block, k), "query_id long, vec_id long, score long")
         out = found if out is None else out.unionByName(found)
     # a tree of two levels: lists of some tasks merge first, then those of all
     out = out.withColumn("part", F.pmod(F.spark_partition_id(), F.lit(16))).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)

@@ -28,7 +28,7 @@ from . import common as C
 CHAIN = ("low_quality", "toxic")
 SAMPLE, FEATURES, FOLDS, L2 = 6_000, 600, 3, 0.05
 WORD = re.compile(r"[^\W_]+")
-WORD_CACHE = 300_000
+WORD_CACHE = 150_000
 
 
 def features_of(word: str) -> list[str]:
@@ -212,8 +212,8 @@ def score(docs: DataFrame, chain: Chain, threshold: float | None = None, filteri
 
     if filtering:
         at = docs.columns.index("text")
-        return docs.mapInArrow(lambda b: run(b, at), docs.schema)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lambda b: run(b, 1), "doc_id long, " + ", ".join(f"p_{n} double" for n in chain.names) + ", rejected boolean")
+        return docs.transform(C.arrow, lambda b: run(b, at), docs.schema)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(C.arrow, lambda b: run(b, 1), "doc_id long, " + ", ".join(f"p_{n} double" for n in chain.names) + ", rejected boolean")
 
 
 def op8(spark, sf_dir):

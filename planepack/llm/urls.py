@@ -111,7 +111,7 @@ def judge(pages: DataFrame, rules=RULES, globs=GLOBS) -> DataFrame:
             own = fits[:, len(ranked) :].any(1) & np.array([bool(h) for h in hosts], bool)
             yield C.batch(schema, r.column(0), r.column(1), r.column(2), pa.array([ranked[i][1] + ranked[i][2] if i >= 0 else None for i in first], pa.string()), pa.array([ranked[i][0] if i >= 0 else "block" if b else "allow" for i, b in zip(first, own, strict=True)]))
 
-    return split_url(pages.select(F.col("page_id").cast("long").alias("page_id"), "url")).select("page_id", "host", "path").mapInArrow(run, "page_id long, host string, path string, rule string, verdict string")
+    return split_url(pages.select(F.col("page_id").cast("long").alias("page_id"), "url")).select("page_id", "host", "path").transform(C.arrow, run, "page_id long, host string, path string, rule string, verdict string")
 
 
 def op10(spark, sf_dir):

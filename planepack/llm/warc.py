@@ -163,9 +163,9 @@ def unpack(data: bytes) -> list[tuple[str, list]]:
 def build_index(spark, archives: str, index: str, per_block: int = ENTRIES_PER_BLOCK) -> None:
     """Blocks of sorted captures under ``index/blocks`` and their sparse directory under ``index/directory``."""
     files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(archives).select("path", "content")
-    entries = C.written(files.mapInArrow(_captures, "key string, entry string"), "captures")
+    entries = C.written(files.transform(C.arrow, _captures, "key string, entry string"), "captures")
     order = entries.repartitionByRange("key", F.xxhash64("entry")).sortWithinPartitions("key", "entry")
-    order.mapInArrow(lambda b: _blocks(b, per_block), "first_key string, last_key string, n int, data binary").write.option("compression", "uncompressed").parquet(f"{index}/blocks")
+    order.transform(C.arrow, lambda b: _blocks(b, per_block), "first_key string, last_key string, n int, data binary").write.option("compression", "uncompressed").parquet(f"{index}/blocks")
     spark.read.parquet(f"{index}/blocks").select("first_key", "last_key", "n").coalesce(1).sortWithinPartitions("first_key").write.parquet(f"{index}/directory")
     C.forget(entries)
 
@@ -220,7 +220,7 @@ def read_captures(spark, index: str) -> DataFrame:
                 rows = [e[:7] for _, e in unpack(data)]
                 yield C.batch(_PAGE, *(list(x) for x in zip(*rows, strict=True)))
 
-    return spark.read.parquet(f"{index}/blocks").select("data").mapInArrow(run, PAGE_DDL)
+    return spark.read.parquet(f"{index}/blocks").select("data").transform(C.arrow, run, PAGE_DDL)
 
 
 def op4(spark, sf_dir):
