@@ -6,7 +6,6 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import gc
-import tempfile
 import uuid
 
 import numpy as np
@@ -14,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from planepack.storage import scratch
+
 #: Rows that a broadcast side may have; beyond it the join shuffles.
 BROADCAST_ROWS = 1_000_000
 #: Edges that one task may union in memory (16 bytes each); beyond it components are found by rounds of joins.
@@ -27,16 +28,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     return df.select(*cols) if cols else df
 
 
-def scratch(spark: SparkSession) -> str:
-    """The shared checkpoint folder of the cluster; one of our own only where none is set (tests)."""
-    sc = spark.sparkContext
-    where = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-    if not where:
-        where = tempfile.mkdtemp(prefix="planepack-")
-        sc.setCheckpointDir(where)
-    return where.rstrip("/")
-
-
 def written(df: DataFrame, what: str) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
