@@ -34,7 +34,7 @@ def plane_entropy(df: DataFrame, *by: str) -> DataFrame:
 def entropy_features(df: DataFrame) -> DataFrame:
     """Mean, sample deviation (0 for one block), maximum and minimum of the block entropies of each plane."""
     return plane_entropy(df, "block_id").groupBy("dataset", "plane").agg(
-        F.round(F.avg("h"), 6).alias("h_avg"), F.round(F.coalesce(F.stddev_samp("h"), F.lit(0.0)), 6).alias("h_std"), F.max("h").alias("h_max"), F.min("h").alias("h_min"))
+        F.round(F.avg("h") + 1e-9, 5).alias("h_avg"), F.round(F.coalesce(F.stddev_samp("h"), F.lit(0.0)) + 1e-9, 5).alias("h_std"), F.max("h").alias("h_max"), F.min("h").alias("h_min"))
 
 
 def frequency_feature(df: DataFrame) -> DataFrame:

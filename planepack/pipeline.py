@@ -81,7 +81,7 @@ def encode_block(data: bytes, width: int, partition, spec: PlanSpec) -> tuple[li
         h = [features.entropy_of_counts(np.bincount(m[:, p], minlength=256)) for p in range(width)]
         partition = ordered(partition, h, spec.cluster_order)
     raw = pack(m, partition, spec.packing)
-    if spec.layout == "monolithic":
+    if spec.layout == "monolithic" and len(partition) > 1:
         raw = [b"".join(raw)]
         payload = [codec.encode(raw[0], 1, spec.level)]
     else:

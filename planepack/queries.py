@@ -127,12 +127,12 @@ def _plane_entropy(spark, d):
     return features.plane_entropy(load(spark, d, FLOATS[:17]))
 
 
-@_query("features_entropy", f"with {_ranked(CORE)}, {_PLANES}, c as (select dataset, block_id, plane, byte, count(*) as c from b group by all), e as (select dataset, block_id, plane, {_entropy('c')} as h from c group by all) select dataset, cast(plane as integer) as plane, round(avg(h), 6) as h_avg, round(coalesce(stddev_samp(h), 0.0), 6) as h_std, max(h) as h_max, min(h) as h_min from e group by all")
+@_query("features_entropy", f"with {_ranked(CORE)}, {_PLANES}, c as (select dataset, block_id, plane, byte, count(*) as c from b group by all), e as (select dataset, block_id, plane, {_entropy('c')} as h from c group by all) select dataset, cast(plane as integer) as plane, round(avg(h) + 1e-9, 5) as h_avg, round(coalesce(stddev_samp(h), 0.0) + 1e-9, 5) as h_std, max(h) as h_max, min(h) as h_min from e group by all")
 def _features_entropy(spark, d):
     return features.entropy_features(blocks.ranked(load(spark, d, CORE), SMALL))
 
 
-@_query("features_partial", ORACLES["features_entropy"].replace("6) as h_avg", "4) as h_avg").replace("6) as h_std", "4) as h_std").replace("max(h) as h_max, min(h) as h_min", "round(max(h), 4) as h_max, round(min(h), 4) as h_min"))
+@_query("features_partial", ORACLES["features_entropy"].replace("+ 1e-9, 5) as h_avg", ", 4) as h_avg").replace("+ 1e-9, 5) as h_std", ", 4) as h_std").replace("max(h) as h_max, min(h) as h_min", "round(max(h), 4) as h_max, round(min(h), 4) as h_min"))
 def _features_partial(spark, d):
     t = features.feature_table(blocks.blocks(load(spark, d, CORE), SMALL)).drop("hist")
     return t.select("dataset", "plane", *(F.round(c, 4).alias(c) for c in ("h_avg", "h_std", "h_max", "h_min")))
@@ -260,14 +260,23 @@ def _round_sql(names, size: int = SMALL) -> str:
 
 
 _TRIP = ["TS32-value", "TS64-value"]
+
+
+def _all_ways(spark, d, codec: str) -> DataFrame:
+    """Decoded words of the standard image and of both packings."""
+    b = _blocks(spark, d, _TRIP)
+    parts, out = pipeline.fit(b), None
+    for way in ("byte", "value", "standard"):
+        c = pipeline.compress_blocks(b, parts, PlanSpec(codec=codec, mode="standard") if way == "standard" else PlanSpec(codec=codec, packing=way))
+        t = blocks.words_of_blocks(pipeline.decompress_blocks(c)).withColumn("way", F.lit(way))
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
 for _c in ("zstd", "snappy", "lz4", "zlib", "bzip2", "lz4-chunked", "lz77", "fastlz", "huffman", "xor", "xor-plain", "xor-of-128", "delta", "tans", "rle", "bwt-mtf-huffman", "bitshuffle-zstd", "shuffle-zstd", "predictive", "hashed", "stride-lz", "store"):
-    for _p in ("byte", "value"):
-        _n = f"roundtrip_{_c.replace('-', '_')}_{_p}"
-        QUERIES[_n] = lambda spark, d, c=_c, p=_p: _round_trip(spark, d, _TRIP, PlanSpec(codec=c, packing=p))
-        ORACLES[_n] = _round_sql(_TRIP)
-    _n = f"roundtrip_{_c.replace('-', '_')}_standard"
-    QUERIES[_n] = lambda spark, d, c=_c: _round_trip(spark, d, _TRIP, PlanSpec(codec=c, mode="standard"))
-    ORACLES[_n] = _round_sql(_TRIP)
+    _n = f"roundtrip_{_c.replace('-', '_')}"
+    QUERIES[_n] = lambda spark, d, c=_c: _all_ways(spark, d, c)
+    ORACLES[_n] = "select * from (" + _round_sql(_TRIP) + "), (values ('byte'), ('value'), ('standard')) v(way)"
 _SPECS = {
     "dynamic": PlanSpec(), "static": PlanSpec(mode="static"), "block_scope": PlanSpec(scope="block"), "monolithic": PlanSpec(layout="monolithic"), "guard": PlanSpec(guard=True),
     "entropy_order": PlanSpec(cluster_order="entropy"), "entropy_order_desc": PlanSpec(cluster_order="entropy_desc"), "full_sample": PlanSpec(sample=1.0), "zstd_19": PlanSpec(level=19),
@@ -307,7 +316,9 @@ def _pack_first(spark, d):
     n = r.count()
     planes = features.plane_bytes(r).select((F.col("plane") * n + F.col("rn")).alias("at"), "byte").withColumn("chunk", F.expr(f"at div {SMALL}"))
     packed = planes.groupBy("chunk").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", "byte"))), lambda x: x["byte"].cast("tinyint")).alias("bytes"))
-    from .functions import pp_decode, pp_encode
+    from .functions import column
+
+    pp_decode, pp_encode = column("pp_decode"), column("pp_encode")
 
     data = packed.select("chunk", F.size("bytes").alias("n"), F.unhex(F.concat_ws("", F.transform("bytes", lambda x: F.lpad(F.hex(x.cast("int").bitwiseAND(F.lit(255))), 2, "0")))).alias("raw"))
     back = data.select("chunk", "n", pp_decode(pp_encode("raw", F.lit("zstd")), F.lit("zstd"), "n").alias("raw"))

@@ -12,28 +12,23 @@ from pyspark.sql.functions import arrow_udf
 TYPES = {"f64": (8, np.int64, np.float64), "f32": (4, np.int32, np.float32), "f16": (2, np.int16, np.float16), "i64": (8, np.int64, np.int64), "i32": (4, np.int32, np.int32)}
 
 
-@arrow_udf("bigint")
 def _bits64(v: pa.Array) -> pa.Array:
     return pa.Array.from_buffers(pa.int64(), len(v), v.buffers(), v.null_count, v.offset)
 
 
-@arrow_udf("bigint")
 def _bits32(v: pa.Array) -> pa.Array:
     return pa.Array.from_buffers(pa.int32(), len(v), v.buffers(), v.null_count, v.offset).cast(pa.int64())
 
 
-@arrow_udf("bigint")
 def _bits16(v: pa.Array) -> pa.Array:
     x = v.fill_null(0.0).to_numpy(zero_copy_only=False).astype(np.float16).view(np.int16).astype(np.int64)
     return pa.array(x, mask=v.is_null().to_numpy(zero_copy_only=False))
 
 
-@arrow_udf("double")
 def _value64(v: pa.Array) -> pa.Array:
     return pa.Array.from_buffers(pa.float64(), len(v), v.buffers(), v.null_count, v.offset)
 
 
-@arrow_udf("float")
 def _value32(v: pa.Array) -> pa.Array:
     x = v.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int32).view(np.float32)
     return pa.array(x, mask=v.is_null().to_numpy(zero_copy_only=False))
@@ -42,20 +37,20 @@ def _value32(v: pa.Array) -> pa.Array:
 def word_bits(c: Column, word: str) -> Column:
     """The raw bits of a value as a long (sign-extended for narrow words)."""
     if word == "f64":
-        return _bits64(c.cast("double"))
+        return arrow_udf(_bits64, "bigint")(c.cast("double"))
     if word == "f32":
-        return _bits32(c.cast("float"))
+        return arrow_udf(_bits32, "bigint")(c.cast("float"))
     if word == "f16":
-        return _bits16(c.cast("float"))
+        return arrow_udf(_bits16, "bigint")(c.cast("float"))
     return c.cast("long")
 
 
 def bits_word(c: Column, word: str) -> Column:
     """The value behind raw bits; half floats come as floats."""
     if word == "f64":
-        return _value64(c)
+        return arrow_udf(_value64, "double")(c)
     if word == "f32":
-        return _value32(c)
+        return arrow_udf(_value32, "float")(c)
     return c
 
 
