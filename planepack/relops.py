@@ -116,11 +116,12 @@ def agg_distinct(spark, d):
     return table(spark, d, "lineitem").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("supps"), F.count_if(F.col("l_tax") == 0).alias("untaxed"))
 
 
+#: Prices are whole cents: exact decimal sums, as sums of doubles depend on the order of rows and can round either way.
 _CUBE = "select {k} from orders group by {g}(o_orderstatus, o_orderpriority)"
 for _g in ("cube", "rollup"):
     RELOPS[f"agg_{_g}"] = (
-        lambda spark, d, g=_g: getattr(table(spark, d, "orders"), g)("o_orderstatus", "o_orderpriority").agg(F.round(F.sum("o_totalprice"), 1).alias("total"), F.count(F.lit(1)).alias("n"), F.grouping_id().cast("long").alias("gid")),
-        _CUBE.format(k="o_orderstatus, o_orderpriority, round(sum(o_totalprice), 1) as total, count(*) as n, cast(grouping_id(o_orderstatus, o_orderpriority) as bigint) as gid", g=_g),
+        lambda spark, d, g=_g: getattr(table(spark, d, "orders"), g)("o_orderstatus", "o_orderpriority").agg(F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("total"), F.count(F.lit(1)).alias("n"), F.grouping_id().cast("long").alias("gid")),
+        _CUBE.format(k="o_orderstatus, o_orderpriority, cast(sum(cast(o_totalprice as decimal(18, 2))) as double) as total, count(*) as n, cast(grouping_id(o_orderstatus, o_orderpriority) as bigint) as gid", g=_g),
     )
 
 
