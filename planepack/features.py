@@ -64,7 +64,7 @@ def _partials(batches):
             m = as_planes(data, width)
             for p in range(width):
                 c = np.bincount(m[:, p], minlength=256)
-                h = entropy_of_counts(c)
+                h = round(entropy_of_counts(c), 6)  # as in the SQL form, so both give the same features
                 s = state.setdefault((ds, p), [0, 0.0, 0.0, -1.0, 9.0, np.zeros(256, np.int64)])
                 s[0] += 1
                 s[1] += h
