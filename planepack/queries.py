@@ -315,16 +315,16 @@ def _pack_first(spark, d):
     r = blocks.ranked(load(spark, d, "TS32-value"), SMALL)
     n = r.count()
     planes = features.plane_bytes(r).select((F.col("plane") * n + F.col("rn")).alias("at"), "byte").withColumn("chunk", F.expr(f"at div {SMALL}"))
-    packed = planes.groupBy("chunk").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", "byte"))), lambda x: x["byte"].cast("tinyint")).alias("bytes"))
+    packed = planes.groupBy("chunk").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", "byte"))), lambda x: x["byte"]).alias("bytes"))
     from .functions import column
 
     pp_decode, pp_encode = column("pp_decode"), column("pp_encode")
 
-    data = packed.select("chunk", F.size("bytes").alias("n"), F.unhex(F.concat_ws("", F.transform("bytes", lambda x: F.lpad(F.hex(x.cast("int").bitwiseAND(F.lit(255))), 2, "0")))).alias("raw"))
+    data = packed.select("chunk", F.size("bytes").alias("n"), F.unhex(F.concat_ws("", F.transform("bytes", lambda x: F.lpad(F.hex(x), 2, "0")))).alias("raw"))
     back = data.select("chunk", "n", pp_decode(pp_encode("raw", F.lit("zstd")), F.lit("zstd"), "n").alias("raw"))
     cells = back.select("chunk", F.posexplode(F.transform(F.sequence(F.lit(1), F.col("n")), lambda i: F.conv(F.hex(F.substring("raw", i, F.lit(1))), 16, 10).cast("int"))).alias("i", "byte")).withColumn("at", F.col("chunk") * SMALL + F.col("i"))
     cells = cells.select(F.expr(f"at % {n}").alias("rn"), F.expr(f"cast(at div {n} as int)").alias("plane"), "byte")
-    word = F.sum(F.shiftleft(F.col("byte").cast("long"), 24 - F.col("plane") * 8))
+    word = F.sum(F.call_function("shiftleft", F.col("byte").cast("long"), F.lit(24) - F.col("plane") * 8))
     return cells.groupBy("rn").agg(word.alias("u")).select("rn", F.when(F.col("u") >= 1 << 31, F.col("u") - (1 << 32)).otherwise(F.col("u")).alias("bits"))
 
 
@@ -383,10 +383,8 @@ def _profile(spark, d):
 
 
 def _order_sql(k: int) -> str:
-    byte = lambda i: f"(w2.bits >> cast(8 * (g.i - {i}) as integer)) & 255"
-    cells = "cells as (select dataset, block_id, pos * width + i as at, (bits >> cast(8 * i as integer)) & 255 as v from w, unnest(range(0, width)) t(i))"
-    del byte
-    lags = ", ".join(f"lag(v, {j}) over (partition by dataset, block_id order by at) as g{j}" for j in range(1, k + 1))
+    cells = "cells as (select dataset, block_id, pos * width + i as place, (bits >> cast(8 * i as integer)) & 255 as v from w, unnest(range(0, width)) t(i))"
+    lags = ", ".join(f"lag(v, {j}) over (partition by dataset, block_id order by place) as g{j}" for j in range(1, k + 1))
     ctx = ", ".join(f"g{j}" for j in range(1, k + 1))
     where = " and ".join(f"g{j} is not null" for j in range(1, k + 1)) or "true"
     c = f"g as (select dataset, v{', ' + lags if k else ''} from cells), c as (select dataset, v{', ' + ctx if k else ''}, count(*) as c from g where {where} group by all), t as (select dataset{', ' + ctx if k else ''}, sum(c) as t, sum(c * log2(c)) as s from c group by dataset{', ' + ctx if k else ''})"
