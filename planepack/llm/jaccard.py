@@ -1,7 +1,8 @@
 """N-gram Jaccard join by a prefix tree over globally ordered n-gram sets.
 
 A document becomes its set of n-word shingles (64-bit hashes).  Two documents link when
-``den * |x & y| >= num * |x | y|``; the operator returns the connected components of all links.
+``den * |x & y| >= num * |x | y|``.  :func:`jaccard_components` returns the connected components of all links and, on demand,
+the number of links of every row; :func:`jaccard_links` returns the links themselves, between one document of each set.
 
 1. Every document is reduced to (size, fingerprint of the set).  Documents with equal sets are one node.
 2. Nodes that could link are brought together by an exact signature: inside a size band the hash space is cut
@@ -16,8 +17,10 @@ A document becomes its set of n-word shingles (64-bit hashes).  Two documents li
    meets, so memory stays bounded and no link is lost.
 4. There the sets, ordered rarest n-gram first, are laid out as a prefix tree (lexicographic order plus the
    lengths of common prefixes).  A query walks it by depth: rows below one node share the overlap counted for
-   that node, and subtrees whose remaining lengths cannot reach the required overlap are pruned.  The walk visits
-   only sets that are not in the query's component yet, hence it emits a spanning forest, never all pairs.
+   that node, and subtrees whose remaining lengths cannot reach the required overlap are pruned.  For components alone
+   the walk visits only sets that are not in the query's component yet and emits a spanning forest.  For links every
+   set is held against all sets behind it, so each pair is found once: inside a block by the task of that block, across blocks by
+   the task of the two.  Counts leave a task as one row a set, so the pairs of a large group are never rows.
 
 Defined results: null, empty or blank text has no n-grams, size 0, and is a component of its own; with fewer than n words
 the whole sequence is the one n-gram; repeated rows give repeated result rows; a null id links, but is never a
@@ -305,8 +308,10 @@ class PrefixTree:
         full = hi > lo
         if not full.any():
             return np.empty(0, np.int64)
-        c = np.unique(np.concatenate([self.who[i:j] for i, j in zip(lo[full], hi[full], strict=True)]))
-        c = c[fresh[c]]
+        met = np.zeros(len(fresh), bool)
+        for i, j in zip(lo[full], hi[full], strict=True):
+            met[self.who[i:j]] = True
+        c = np.nonzero(met & fresh)[0]
         m = self.len[c]
         return c[(self.den * np.minimum(m, n) >= self.num * np.maximum(m, n))]
 
@@ -375,38 +380,97 @@ class PrefixTree:
                 break
         return out
 
-
-def _joined(batches, n, num, den):
-    """Groups arrive sorted; each is one prefix tree."""
+    def links(self, sides: np.ndarray | None = None):
+        """Every link once: (position, positions of its partners) in the input list.  With ``sides`` (per input set), only links across them."""
+        m, order = len(self.order), np.array(self.order)
+        side = None if sides is None else np.asarray(sides)[order]
+        behind, posted = np.ones(m, bool), m
+        for q in range(m - 1):
+            behind[q] = False
+            left = m - 1 - q
+            if posted > 64 and left < posted // 2:
+                self._post(np.arange(q + 1, m))
+                posted = left
+            c = self.candidates(q, behind if side is None else behind & (side != side[q]))
+            if len(c):
+                y = self.linked(q, c)
+                if len(y):
+                    yield int(order[q]), order[y]
+
+
+_LINK = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64())])
+#: Links that leave a task together.
+LINKS = 100_000
+
+
+def _tree_forest(fps, sets, sides, copies, num, den):
+    pairs = PrefixTree(sets, num, den).forest()
+    if pairs:
+        yield C.batch(_LINK, fps[[i for i, _ in pairs]], fps[[j for _, j in pairs]], pa.nulls(len(pairs), pa.int64()))
+
+
+def _tree_counts(fps, sets, sides, copies, num, den):
+    """(node, node, null): links that span the components; (node, null, n): linked documents of each set in this tree."""
+    up, n, a, b = np.arange(len(sets)), np.zeros(len(sets), np.int64), [], []
+    for q, y in PrefixTree(sets, num, den).links(sides):
+        n[q] += copies[y].sum()
+        n[y] += copies[q]
+        roots = set()
+        for r in np.unique(up[np.append(y, q)]).tolist():
+            while up[r] != r:
+                r = int(up[r])
+            roots.add(r)
+        least = min(roots)
+        rest = sorted(roots - {least})
+        a += [least] * len(rest)
+        b += rest
+        up[rest] = least
+        up[y] = least
+        up[q] = least
+    own = np.nonzero(n)[0]
+    if len(own):
+        yield C.batch(_LINK, fps[a], fps[b], pa.nulls(len(a), pa.int64()))
+        yield C.batch(_LINK, fps[own], pa.nulls(len(own), pa.int64()), n[own])
+
+
+def _tree_links(fps, sets, sides, copies, num, den):
+    a, b, k = [], [], 0
+    for q, y in PrefixTree(sets, num, den).links(sides):
+        a.append(np.full(len(y), fps[q]))
+        b.append(fps[y])
+        k += len(y)
+        if k > LINKS:
+            yield C.batch(_LINK, np.concatenate(a), np.concatenate(b), pa.nulls(k, pa.int64()))
+            a, b, k = [], [], 0
+    if k:
+        yield C.batch(_LINK, np.concatenate(a), np.concatenate(b), pa.nulls(k, pa.int64()))
+
+
+def _joined(batches, n, num, den, tree):
+    """Groups arrive sorted: (key, node, block, across, copies, text); each is one prefix tree."""
     hashes = WordHashes()
 
-    def solve(sets):
-        if len(sets) < 2:
-            return None
-        fps = list(sets)
-        pairs = PrefixTree(list(sets.values()), num, den).forest()
-        return batch_of(fps, pairs) if pairs else None
-
-    def batch_of(fps, pairs):
-        return C.batch(C._EDGE, np.array([fps[i] for i, _ in pairs]), np.array([fps[j] for _, j in pairs]))
+    def solve(sets, across):
+        if len(sets) > 1:
+            fps = np.array(list(sets), np.int64)
+            own, sides, copies = zip(*sets.values(), strict=True)
+            yield from tree(fps, list(own), np.array(sides) if across else None, np.array(copies, np.int64), num, den)
 
-    key, sets = None, {}
+    key, sets, across = None, {}, False
     for r in batches:
-        for k, fp, text in zip(r.column(0).to_pylist(), r.column(1).to_pylist(), _texts(r, 2), strict=True):
+        for k, fp, side, cross, c, text in zip(*(r.column(i).to_pylist() for i in range(5)), _texts(r, 5), strict=True):
             if k != key:
-                if (out := solve(sets)) is not None:
-                    yield out
-                key, sets = k, {}
+                yield from solve(sets, across)
+                key, sets, across = k, {}, cross
             if fp not in sets:
                 s = shingles(text, n, hashes)
                 if len(s) and fingerprint(s) == fp:
-                    sets[fp] = s
-    if (out := solve(sets)) is not None:
-        yield out
+                    sets[fp] = s, side, c
+    yield from solve(sets, across)
 
 
-def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 3, num: int = 90, den: int = 100, block_tokens: int = 8_000_000, local_edges: int = C.LOCAL_EDGES) -> DataFrame:
-    """(id, n_shingles, component_id, n_equal) per row of ``docs``; see the module's docstring.  ``num/den`` must exceed 1/2."""
+def _searched(docs, id_col, text_col, n, num, den, block_tokens, local_edges, tree):
+    """Rows with size and fingerprint, one row for each set, and what ``tree`` gives for all sets that could link."""
     if not 0 < num <= den or 2 * num <= den:
         raise ValueError("the threshold must lie above 1/2 and up to 1")
     base = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__text"))
@@ -416,7 +480,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     parts = max(8, -(-per // 1_000_000))
     sigs = base.select("__text").transform(C.arrow, partial(_signed, n=n, num=num, den=den), "sig long, a long, b long")
     met = C.written(sigs.repartition(parts, F.coalesce("sig", "a")).transform(C.arrow, _met, "g long, a long, b long"), "met")
-    nodes = sizes.filter("__fp is not null").groupBy(F.col("__fp").alias("node")).agg(F.min("__id").alias("__id"), F.first("__n").alias("__n"), F.first("__sketch").alias("__sketch"))
+    nodes = sizes.filter("__fp is not null").groupBy(F.col("__fp").alias("node")).agg(F.min("__id").alias("__id"), F.first("__n").alias("__n"), F.first("__sketch").alias("__sketch"), F.count(F.lit(1)).alias("__copies"))
     pending = met.filter("g is not null").select("g", F.col("a").alias("node")).distinct().join(nodes.select("node", "__n", "__sketch"), "node").select("g", "node", "__n", "__sketch")
     compared = pending.repartition("g").sortWithinPartitions("g").transform(C.arrow, partial(_compared, num=num, den=den), "a long, b long")
     near = C.components(met.filter("g is null").select("a", "b").union(compared), local_edges)
@@ -430,22 +494,55 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     groups = F.when(F.col("__blocks").isNull(), F.array(F.lit("")).cast("array<string>")).otherwise(
         F.transform(F.sequence(F.lit(0), F.col("__blocks") - 1), lambda j: F.concat_ws("-", F.least(j, blk).cast("string"), F.greatest(j, blk).cast("string")))
     )
-    placed = placed.withColumn("__group", F.explode(groups)).select("__id", F.col("node").alias("__node"), F.concat_ws(":", F.col("root").cast("string"), "__group").alias("__key"))
+    pair = F.split("__group", "-")
+    placed = placed.withColumn("__group", F.explode(groups)).select("__id", F.col("node").alias("__node"), F.concat_ws(":", F.col("root").cast("string"), "__group").alias("__key"), F.coalesce(blk, F.lit(0)).alias("__block"), ((F.size(pair) == 2) & (F.get(pair, F.lit(0)) != F.get(pair, F.lit(1)))).alias("__across"), "__copies")
+    placed = placed.withColumn("__across", F.coalesce("__across", F.lit(False)))
     brought = base.filter("__text is not null").withColumn("__at", F.coalesce("__id", F.lit(-(1 << 62)))).join(C.small(placed.withColumn("__at", F.coalesce("__id", F.lit(-(1 << 62)))).drop("__id"), n_members), "__at")
-    links = brought.select("__key", "__node", "__text").repartition(max(8, min(2048, -(-n_members // 2000))), "__key").sortWithinPartitions("__key").transform(C.arrow, partial(_joined, n=n, num=num, den=den), "a long, b long")
-    true = C.components(links, local_edges)
+    found = brought.select("__key", "__node", "__block", "__across", "__copies", "__text").repartition(max(8, min(2048, -(-n_members // 2000))), "__key").sortWithinPartitions("__key").transform(C.arrow, partial(_joined, n=n, num=num, den=den, tree=tree), "a long, b long, n long")
+    return sizes, nodes, near, found
+
+
+def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 3, num: int = 90, den: int = 100, block_tokens: int = 8_000_000, local_edges: int = C.LOCAL_EDGES, links: bool = False) -> DataFrame:
+    """(id, n_shingles, component_id, n_class) per row of ``docs``; see the module's docstring.  ``num/den`` must exceed 1/2.
+
+    ``n_class`` is the size of the component.  With ``links`` there is also ``n_links``: the other rows that this row links with.
+    """
+    sizes, _, near, found = _searched(docs, id_col, text_col, n, num, den, block_tokens, local_edges, _tree_counts if links else _tree_forest)
+    found = C.written(found, "links") if links else found
+    true = C.components(found.filter("b is not null").select("a", "b"), local_edges)
     n_true = true.count()
     keyed = sizes.select("__id", "__n", "__fp").join(C.small(true.select(F.col("node").alias("__fp"), F.col("root").alias("__root")), n_true), "__fp", "left").withColumn("__root", F.coalesce("__root", "__fp"))
     least = keyed.filter("__root is not null").groupBy("__root").agg(F.min("__id").alias("__least"), F.count(F.lit(1)).alias("__c")).filter("__c > 1")
     out = keyed.join(least, "__root", "left")
     C.forget(near)
-    return out.select(F.col("__id").alias(id_col), F.col("__n").alias("n_shingles"), F.coalesce("__least", "__id").alias("component_id"), F.coalesce("__c", F.lit(1)).alias("n_class"))
+    cols = [F.col("__id").alias(id_col), F.col("__n").alias("n_shingles"), F.coalesce("__least", "__id").alias("component_id"), F.coalesce("__c", F.lit(1)).alias("n_class")]
+    if links:
+        others = found.filter("b is null").groupBy(F.col("a").alias("__fp")).agg(F.sum("n").alias("__links"))
+        equal = keyed.filter("__fp is not null").groupBy("__fp").agg((F.count(F.lit(1)) - 1).alias("__equal")).filter("__equal > 0")
+        out = out.join(C.small(others, n_true), "__fp", "left").join(equal, "__fp", "left")
+        cols.append((F.coalesce("__links", F.lit(0)) + F.coalesce("__equal", F.lit(0))).alias("n_links"))
+    return out.select(*cols)
+
+
+def jaccard_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 3, num: int = 90, den: int = 100, block_tokens: int = 8_000_000, local_edges: int = C.LOCAL_EDGES) -> DataFrame:
+    """(id_a, id_b, copies_a, copies_b): every link between two different sets once, each set by the smallest id of its documents."""
+    _, nodes, near, found = _searched(docs, id_col, text_col, n, num, den, block_tokens, local_edges, _tree_links)
+    found = C.written(found.select("a", "b"), "links")
+    C.forget(near)
+    end = lambda c: nodes.select(F.col("node").alias(c), F.struct(F.col("__id").isNull().alias("none"), F.col("__id").alias("id"), F.col("node").alias("node"), F.col("__copies").alias("copies")).alias(f"__{c}"))
+    both = found.join(end("a"), "a").join(end("b"), "b")
+    lo, hi = F.least("__a", "__b"), F.greatest("__a", "__b")
+    return both.select(lo["id"].alias("id_a"), hi["id"].alias("id_b"), lo["copies"].alias("copies_a"), hi["copies"].alias("copies_b"))
 
 
 def op2(spark, sf_dir):
     return jaccard_components(C.table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op2_links(spark, sf_dir):
+    return jaccard_components(C.table(spark, sf_dir, "documents", "doc_id", "text"), links=True)
+
+
 def drop_near_duplicates(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """Keep, of each component, the document with the smallest id; rows with a null id stay."""
     comps = jaccard_components(docs, n=n, num=num, den=den)
@@ -465,3 +562,4 @@ r(a, b) as (select rid, rid from d union select r.a, p.b from r join p on r.b =
 c as (select r.a, min(d.doc_id) as least, count(*) as n_class from r join d on d.rid = r.b group by r.a)
 select d.doc_id, cast(coalesce(n.n, 0) as bigint) as n_shingles, c.least as component_id, c.n_class from d left join n using (rid) join c on c.a = d.rid
 """
+OP2_LINKS_SQL = OP2_SQL.replace("c.n_class from d", "c.n_class, cast(coalesce(l.n_links, 0) as bigint) as n_links from d").rstrip() + " left join (select a, count(*) as n_links from p group by a) l on l.a = d.rid\n"

@@ -7,6 +7,7 @@ from . import chat, decontam, jaccard, pieces, secrets, shards, topk, toxicity,
 QUERIES = {
     "op1_sentencepiece": pieces.op1,
     "op2_ngram_jaccard_join": jaccard.op2,
+    "op2_ngram_jaccard_links": jaccard.op2_links,
     "op3_exact_topk": topk.op3,
     "op4_warc": warc.op4,
     "op5_decontamination": decontam.op5,
@@ -19,6 +20,7 @@ QUERIES = {
 
 ORACLES = {
     "op2_ngram_jaccard_join": jaccard.OP2_SQL,
+    "op2_ngram_jaccard_links": jaccard.OP2_LINKS_SQL,
     "op3_exact_topk": topk.OP3_SQL,
     "op4_warc": warc.OP4_SQL,
     "op5_decontamination": decontam.OP5_SQL,
