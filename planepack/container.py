@@ -5,6 +5,7 @@ from __future__ import annotations
 import json
 import struct
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -69,3 +70,19 @@ def from_bytes(b: bytes) -> dict:
         row[f"s{i}"] = b[at : at + e]
         at += e
     return row
+
+
+def survives(container: DataFrame) -> DataFrame:
+    """(dataset, block_id, same) of every block: whether its row is equal after ``to_bytes`` and ``from_bytes``."""
+    about = ("enc_ns", "min_bits", "max_bits")
+
+    def run(batches):
+        for r in batches:
+            rows = r.to_pylist()
+            same = []
+            for row in rows:
+                back = from_bytes(to_bytes(row))
+                same.append(all(back[k] == v for k, v in row.items() if k not in about and v is not None))
+            yield pa.RecordBatch.from_arrays([pa.array([x["dataset"] for x in rows], pa.string()), pa.array([x["block_id"] for x in rows], pa.int64()), pa.array(same, pa.bool_())], names=["dataset", "block_id", "same"])
+
+    return container.mapInArrow(run, "dataset string, block_id long, same boolean")
