@@ -1,10 +1,11 @@
 """Secret scans: base patterns, and a token-efficiency test that exposes random strings.
 
 Base kinds (leftmost, non-overlapping, each kind on its own): ``assign``, ``access`` and ``hex``.  The test adds spans of kind ``random``:
-runs of ``[A-Za-z0-9+/_=-]`` of at least ``MIN_RUN`` characters with at least two character classes, whose characters per
+runs of ``[A-Za-z0-9+/_=-]`` of at least ``MIN_RUN`` characters with a letter, whose characters per
 token under a public byte-pair vocabulary are at most ``MAX_RATIO``; natural words merge into long tokens, random strings do not.
-Known digests (hex of the common digest lengths, UUIDs) and identifiers (snake, kebab or camel words, paths, numbers) are left out,
-and so are runs that overlap a base span.
+Known digests (hex of the common digest lengths, UUIDs), numbers and identifiers (snake, kebab or camel words, paths) are left out,
+and so are runs that overlap a base span.  An identifier has no digit that touches a lower-case letter or precedes a letter, and more than half of
+its letters are in pieces that are words by the same test: characters per token above ``MAX_RATIO``.
 
 Defined results: null text is empty; offsets are code points, end exclusive; empty span lists give the digest of the empty string;
 repeated rows give repeated rows.
@@ -31,7 +32,8 @@ RUN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
 KINDS = {"assign": 0, "access": 1, "hex": 2, "random": 3}
 MIN_RUN, MAX_RATIO = 20, 2.2
 DIGEST = re.compile(r"(?:[0-9a-f]{32}|[0-9a-f]{40}|[0-9a-f]{56}|[0-9a-f]{64}|[0-9a-f]{96}|[0-9a-f]{128}|[0-9A-F]{32}|[0-9A-F]{40}|[0-9A-F]{64}|[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12})")
-IDENTIFIER = re.compile(r"[+/_=-]*(?:(?:[A-Z]?[a-z]+|[A-Z]+|[0-9]{1,4})(?:[+/_=-]+|(?=[A-Z0-9])|$))*[+/_=-]*|[0-9+/_=-]+")
+MIXED = re.compile(r"[0-9][A-Za-z]|[a-z][0-9]")
+PIECE = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+")
 VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 RATIO_CACHE = 200_000
 _encoders: dict[str, object] = {}
@@ -52,14 +54,17 @@ def ratio(run: str, path: str = VOCABULARY) -> float:
     return len(run) / max(1, len(encoder(path).encode_ordinary(run)))
 
 
-def classes(run: str) -> int:
-    return sum(any(lo <= c <= hi for c in run) for lo, hi in (("a", "z"), ("A", "Z"), ("0", "9")))
+def identifier(run: str, path: str, max_ratio: float) -> bool:
+    if MIXED.search(run):
+        return False
+    pieces = PIECE.findall(run)
+    return 2 * sum(len(p) for p in pieces if len(p) > max_ratio and ratio(p, path) > max_ratio) > sum(map(len, pieces))
 
 
 def exposes(run: str, path: str, max_ratio: float) -> bool:
-    if classes(run) < 2 or DIGEST.fullmatch(run) or (len(run) <= 200 and IDENTIFIER.fullmatch(run) and not re.search(r"[0-9][A-Za-z]|[a-z][0-9]", run)):
+    if not re.search("[A-Za-z]", run) or DIGEST.fullmatch(run) or ratio(run, path) > max_ratio:
         return False
-    return ratio(run, path) <= max_ratio
+    return not identifier(run, path, max_ratio)
 
 
 def base_spans(text: str) -> list[tuple[int, int, int]]:
