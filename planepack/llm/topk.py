@@ -56,23 +56,27 @@ def product(q: np.ndarray, t: np.ndarray) -> np.ndarray:
 
 
 class Lists:
-    """The k best of each query so far, best first; merged tile after tile."""
+    """The k best of each query so far, best first; merged tile after tile.  ``ids`` are distinct."""
 
     def __init__(self, ids: np.ndarray, vectors: np.ndarray, k: int):
         self.ids, self.vectors, self.k = ids, vectors, k
         self.score = np.full((len(ids), k), np.iinfo(np.int64).min)
         self.id = np.full((len(ids), k), np.iinfo(np.int64).max)
         self.n = np.zeros(len(ids), np.int64)
+        self.order = np.argsort(ids, kind="stable")
 
     def merge(self, ids: np.ndarray, tile: np.ndarray) -> None:
         s = product(self.vectors, tile)
+        mine = self.order[np.minimum(np.searchsorted(self.ids, ids, sorter=self.order), len(self.ids) - 1)]
+        own = np.nonzero(self.ids[mine] == ids)[0]
+        s[mine[own], own] = np.iinfo(np.int64).min  # a query's own rows, however many, take no place in the selection
         full = self.n >= self.k
         low = np.where(full, self.score[:, -1], np.iinfo(np.int64).min)
         if len(ids) > 4 * self.k:  # partial selection: at most the k best of the tile and what ties with the last
-            low = np.maximum(low, np.partition(s, len(ids) - self.k - 1, axis=1)[:, len(ids) - self.k - 1])
+            low = np.maximum(low, np.partition(s, len(ids) - self.k, axis=1)[:, len(ids) - self.k])
         q, c = np.nonzero(s >= low[:, None])
-        own = ids[c] != self.ids[q]
-        q, c = q[own], c[own]
+        other = ids[c] != self.ids[q]
+        q, c = q[other], c[other]
         if not len(q):
             return
         held = np.arange(self.k) < self.n[:, None]
