@@ -127,6 +127,12 @@ def _plane_entropy(spark, d):
     return features.plane_entropy(load(spark, d, FLOATS[:17]))
 
 
+@_query("plane_entropy_all")
+def _plane_entropy_all(spark, d):
+    """Every float column; the half-precision ones have no SQL form."""
+    return features.plane_entropy(load(spark, d, FLOATS))
+
+
 @_query("features_entropy", f"with {_ranked(CORE)}, {_PLANES}, c as (select dataset, block_id, plane, byte, count(*) as c from b group by all), e as (select dataset, block_id, plane, {_entropy('c')} as h from c group by all) select dataset, cast(plane as integer) as plane, round(avg(h) + 1e-9, 5) as h_avg, round(coalesce(stddev_samp(h), 0.0) + 1e-9, 5) as h_std, max(h) as h_max, min(h) as h_min from e group by all")
 def _features_entropy(spark, d):
     return features.entropy_features(blocks.ranked(load(spark, d, CORE), SMALL))
@@ -374,6 +380,12 @@ def _word_entropy(spark, d):
     return entropy.word_entropy(load(spark, d, FLOATS[:17] + INTS))
 
 
+@_query("word_entropy_all")
+def _word_entropy_all(spark, d):
+    """Every registered column; the half-precision ones have no SQL form."""
+    return entropy.word_entropy(load(spark, d, list(DATASETS)))
+
+
 @_query("dataset_profile")
 def _profile(spark, d):
     e = entropy.word_entropy(load(spark, d, list(DATASETS)))
@@ -495,7 +507,16 @@ def _fig1(spark, d):
 
 @_query("foundational_table")
 def _foundational(spark, d):
-    return metrics.improvement(_cr(spark, d, ["TS32-value", "TS64-value", "DB32-retail", "DB64-acct", "INT32-size"], ["lz77", "huffman", "xor", "delta"], packing="value"), "cr", "dataset", "codec")
+    """Every column under both packings; the standard form has no packing and is encoded once."""
+    b = _blocks(spark, d, list(DATASETS), 65536)
+    parts = pipeline.fit(b)
+    jobs = []
+    for t in ("lz77", "huffman", "xor", "delta"):
+        jobs.append((f"{t}|standard|", PlanSpec(codec=t, mode="standard"), {}))
+        jobs += [(f"{t}|clustered|{p}", PlanSpec(codec=t, mode="user", packing=p), parts) for p in ("byte", "value")]
+    m = ablation.split_job(ablation.measure(b, jobs), "codec", "variant", "packing")
+    m = m.withColumn("packing", F.explode(F.when(F.col("variant") == "standard", F.array(F.lit("byte"), F.lit("value"))).otherwise(F.array("packing"))))
+    return metrics.improvement(m, "cr", "dataset", "codec", "packing")
 
 
 @_query("bitshuffle_table")
@@ -538,7 +559,7 @@ def _catalogue(spark, d):
 
 @_query("feature_score_grid")
 def _grid(spark, d):
-    return ablation.feature_score_grid(_blocks(spark, d, CORE, 65536))
+    return ablation.feature_score_grid(_blocks(spark, d, F32 + F64, 65536))
 
 
 @_query("exhaustive_table")
@@ -600,20 +621,24 @@ def _decomposition(spark, d):
     return ablation.measure(b, [(f"{c}|{x}", PlanSpec(codec=c, mode="user", layout=x), parts) for c in ("zstd", "huffman") for x in ("decomposed", "monolithic")]).select("dataset", "job", "cr")
 
 
+#: Between a first-level and a last-level cache.
+SWEEP = [k << 10 for k in (16, 64, 256, 1024, 4096, 8192, 16384, 32768)]
+
+
 @_query("block_sweep")
 def _sweep(spark, d):
     out = None
-    src = load(spark, d, ["DB64-extprice", "TS64-value"])
-    for size in (16384, 65536, 262144, 1048576):
+    src = load(spark, d, FLOATS)
+    for size in SWEEP:
         b = written(blocks.blocks(src, size), "blocks")
-        m = ablation.measure(b, [("lz4", PlanSpec(codec="lz4", mode="user"), pipeline.fit(b))]).withColumn("block_bytes", F.lit(size))
+        m = ablation.measure(b, [("fastlz", PlanSpec(codec="fastlz", mode="user"), pipeline.fit(b))]).withColumn("block_bytes", F.lit(size))
         out = m if out is None else out.unionByName(m)
     return out.select("dataset", "block_bytes", "cr", "raw", "enc_ns", "dec_ns")
 
 
 @_query("throughput_table")
 def _throughput(spark, d):
-    m = _cr(spark, d, ["DB64-extprice", "TS64-value", "EMB32-row"])
+    m = _cr(spark, d, FLOATS)
     m = m.withColumn("ct", F.col("raw") / F.col("enc_ns")).withColumn("dt", F.col("raw") / F.col("dec_ns"))
     c, t = metrics.improvement(m, "ct", "dataset", "codec"), metrics.improvement(m, "dt", "dataset", "codec")
     return c.join(t, ["dataset", "codec"])

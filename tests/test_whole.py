@@ -2,6 +2,7 @@ import numpy as np
 
 from planepack import container, pipeline, queries
 from planepack.codecs import CODECS
+from planepack.fixtures import DATASETS, F32, F64, FLOATS
 from planepack.packing import pack
 from planepack.words import as_planes
 
@@ -30,3 +31,23 @@ def test_container_serialised_looks_at_the_last_block(spark, monkeypatch):
     bad = whole.withColumn("enc_len", queries.F.when(whole.block_id == last, queries.F.transform("enc_len", lambda x: x + 1)).otherwise(whole.enc_len))
     monkeypatch.setattr(queries.pipeline, "compress", lambda b: bad)
     assert [tuple(r) for r in queries.QUERIES["container_serialised"](spark, SF).collect()] == [("TS32-value", False)]
+
+
+def test_studies_cover_the_registry(spark, monkeypatch):
+    asked = []
+
+    class Asked(Exception):
+        pass
+
+    def load(spark, d, names):
+        asked.append(names if isinstance(names, list) else [names])
+        raise Asked
+
+    monkeypatch.setattr(queries, "load", load)
+    for name, want in (("foundational_table", list(DATASETS)), ("block_sweep", FLOATS), ("feature_score_grid", F32 + F64), ("throughput_table", FLOATS), ("plane_entropy_all", FLOATS), ("word_entropy_all", list(DATASETS))):
+        try:
+            queries.QUERIES[name](spark, SF)
+        except Asked:
+            pass
+        assert set(asked.pop()) == set(want), name
+    assert (min(queries.SWEEP), max(queries.SWEEP), len(queries.SWEEP)) == (16 << 10, 32 << 20, 8)
