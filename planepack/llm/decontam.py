@@ -45,6 +45,7 @@ class SuffixAutomaton:
         self.link, self.len = [-1], [0]
         self.ids = [i for i, _ in items]
         coded = [[self.vocab.setdefault(w, len(self.vocab)) for w in words] for _, words in items]
+        self.one = [0 < len(x) <= width for x in coded]
         for x in coded:
             last = 0
             for w in x:
@@ -113,6 +114,10 @@ class SuffixAutomaton:
             return self.next[state][w], length + 1
         return 0, 0
 
+    def has_whole(self, codes: np.ndarray) -> bool:
+        """Whether an item that is one window itself occurs."""
+        return any(self.one[i] for i in self.scan(codes)[1])
+
     def scan(self, codes: np.ndarray) -> tuple[np.ndarray, set[int]]:
         """Hit flags of the words and the items whose windows occur.  codes: -1 for words of no item."""
         n = len(codes)
@@ -200,9 +205,13 @@ def _spans(text: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 
 def cleaned(text: bytes, auto: SuffixAutomaton, codes, min_words: int, max_coverage: float) -> bytes | None:
-    """The text without its hit spans; None if too much of it is hit; unchanged text if nothing is."""
+    """The text without its hit spans; None if too much of it is hit; unchanged text if nothing is.
+
+    A span shorter than ``min_words`` is cut if it holds a whole item.
+    """
     w = words_of(text)
-    hit, items = auto.scan(np.fromiter(map(codes.__getitem__, w), np.int64, len(w)))
+    coded = np.fromiter(map(codes.__getitem__, w), np.int64, len(w))
+    hit, items = auto.scan(coded)
     if not items:
         return text
     if hit.sum() > max_coverage * len(w):
@@ -211,14 +220,14 @@ def cleaned(text: bytes, auto: SuffixAutomaton, codes, min_words: int, max_cover
     edge = np.diff(np.concatenate([[0], hit.astype(np.int8), [0]]))
     out, at = [], 0
     for i, j in zip(np.nonzero(edge == 1)[0].tolist(), np.nonzero(edge == -1)[0].tolist(), strict=True):
-        if j - i >= min_words:
+        if j - i >= min_words or auto.has_whole(coded[i:j]):
             out.append(text[at : a[i]])
             at = int(b[j - 1])
     return b"".join([*out, text[at:]])
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, min_words: int = WIDTH, max_coverage: float = 0.5) -> DataFrame:
-    """``docs`` with hit spans of at least ``min_words`` words cut out of ``text``; rows covered beyond ``max_coverage`` go."""
+    """``docs`` with hit spans of at least ``min_words`` words, or of a whole item, cut out of ``text``; rows covered beyond ``max_coverage`` go."""
     held = docs.sparkSession.sparkContext.broadcast(automaton_of(benchmark, width))
     at = docs.columns.index("text")
 
