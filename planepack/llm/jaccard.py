@@ -34,8 +34,9 @@ from functools import partial
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common as C
 
@@ -543,13 +544,43 @@ def op2_links(spark, sf_dir):
     return jaccard_components(C.table(spark, sf_dir, "documents", "doc_id", "text"), links=True)
 
 
+def _printed(batches, at, n):
+    """The batch with the fingerprint of the text where its last column is true, in place of that column."""
+    hashes = WordHashes()
+    for r in batches:
+        fps = [None] * r.num_rows
+        for i, (wanted, t) in enumerate(zip(r.column(r.num_columns - 1).to_pylist(), _texts(r, at), strict=True)):
+            if wanted and len(s := shingles(t, n, hashes)):
+                fps[i] = fingerprint(s)
+        yield pa.RecordBatch.from_arrays([*r.columns[:-1], pa.array(fps, pa.int64())], names=[*r.schema.names[:-1], "__fp"])
+
+
 def drop_near_duplicates(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """Keep, of each component, the document with the smallest id; rows with a null id stay."""
-    comps = jaccard_components(docs, n=n, num=num, den=den)
-    gone = comps.filter("component_id <> doc_id").select(F.col("doc_id").alias("__gone")).distinct()
-    gone = C.written(gone, "gone")
-    once = docs.join(C.small(gone, gone.count()), F.col("doc_id") == F.col("__gone"), "left_anti")
-    return once
+    """Keep one row of each component: the one with the smallest id (nulls last), then fingerprint, then hash of the row.
+
+    A row is told by its id and its set, so rows that share an id are judged on their own texts; of repeated rows one stays.
+    Rows without n-grams stay.
+    """
+    sizes, _, near, found = _searched(docs, "doc_id", "text", n, num, den, 8_000_000, C.LOCAL_EDGES, _tree_forest)
+    true = C.components(found.select("a", "b"))
+    roots = C.small(true.select(F.col("node").alias("fp"), F.col("root").alias("__root")), true.count())
+    rows = sizes.filter("__fp is not null").groupBy(F.col("__id").alias("id"), F.col("__fp").alias("fp")).agg(F.count(F.lit(1)).alias("__c")).join(roots, "fp", "left").withColumn("__root", F.coalesce("__root", "fp"))
+    order = F.struct(F.col("id").isNull().alias("none"), F.coalesce("id", F.lit(0)).alias("id"), F.col("fp").alias("fp"))
+    kept = rows.groupBy("__root").agg(F.min(order).alias("__kept"), F.sum("__c").alias("__all")).filter("__all > 1")
+    judged = rows.join(kept, "__root").select("id", "fp", (F.col("__kept") != order).alias("__gone"), "__c").filter("__gone or __c > 1")
+    judged = C.written(judged, "judged")
+    C.forget(near)
+    count = judged.count()
+    ids = C.small(judged.select(F.col("id").alias("__jid")).distinct().withColumn("__judged", F.lit(True)), count)
+    own = F.col("doc_id").cast("long")
+    marked = docs.join(ids, own.eqNullSafe(F.col("__jid")), "left").select(*docs.columns, F.coalesce("__judged", F.lit(False)).alias("__judged"))
+    schema = T.StructType([*docs.schema.fields, T.StructField("__fp", T.LongType())])
+    printed = marked.transform(C.arrow, partial(_printed, at=docs.columns.index("text"), n=n), schema)
+    verdict = C.small(judged.select(F.col("id").alias("__jid"), F.col("fp").alias("__jfp"), "__gone"), count)
+    both = printed.join(verdict, (F.col("__fp") == F.col("__jfp")) & own.eqNullSafe(F.col("__jid")), "left")
+    first = Window.partitionBy("doc_id", "__fp").orderBy(F.xxhash64(*docs.columns))
+    repeated = both.filter("not __gone").withColumn("__row", F.row_number().over(first)).filter("__row = 1")
+    return both.filter("__gone is null").select(*docs.columns).union(repeated.select(*docs.columns))
 
 
 OP2_SQL = r"""
