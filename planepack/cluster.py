@@ -141,16 +141,33 @@ def candidates(x: np.ndarray, score: str = "davies_bouldin", method: str = "sing
     return out
 
 
+def one_se(x: np.ndarray, method: str = "single", seed: int = 0) -> Partition:
+    """The smallest count whose gap is not below the next one's by more than its deviation; the largest defined count if none is."""
+    tree = linkage(x, method)
+    gaps = gap_statistic(tree, x, method, seed=seed)
+    ks = sorted(k for k in gaps if k > 1)
+    for k in ks:
+        if k + 1 in gaps and gaps[k][0] >= gaps[k + 1][0] - gaps[k + 1][1]:
+            return cut(tree, k)
+    return cut(tree, ks[-1]) if ks else tree[0]
+
+
 def choose_partition(x: np.ndarray, score: str = "davies_bouldin", method: str = "single", degenerate: str = "strict", seed: int = 0) -> Partition:
     """The candidate with the best valid score; two planes have one option; without a valid score all planes stay apart.
 
-    ``degenerate``: ``strict`` asks for more than one cluster, ``allow_identity`` lets k = 1 compete where the score allows it.
+    ``degenerate``: ``strict`` asks for more than one cluster, ``allow_identity`` lets k = 1 compete where the score allows it, ``paper`` lets every
+    k from 1 to n compete, undefined scores counting as the worst.  Score ``gap_one_se`` takes the smallest sufficient count instead of the largest gap.
     """
     n = len(x)
     if n == 2:
         return [[0], [1]]
-    least = 1 if degenerate == "allow_identity" else 2
-    ok = [c for c in candidates(x, score, method, seed) if c["oriented"] is not None and least <= c["k"] <= n - 1]
+    if score == "gap_one_se":
+        return one_se(x, method, seed)
+    least = 2 if degenerate == "strict" else 1
+    found = candidates(x, score, method, seed)
+    if degenerate == "paper":
+        return max(found, key=lambda c: (-np.inf if c["oriented"] is None else c["oriented"], -c["k"]))["partition"]
+    ok = [c for c in found if c["oriented"] is not None and least <= c["k"] <= n - 1]
     return max(ok, key=lambda c: (c["oriented"], -c["k"]))["partition"] if ok else [[i] for i in range(n)]
 
 

@@ -45,6 +45,11 @@ def _unchunked(b, w, n, size=65536):
     return b"".join(out)
 
 
+def _sorted_rotations(d, w, lv):
+    turned = f.bwt(d)
+    return f.huffman_encode(f.mtf(turned[4:])) + turned[:4]
+
+
 _zstd, _unzstd = _arrow("zstd")
 _CODECS = [
     Codec(0, "store", "none", lambda d, w, lv: d, lambda b, w, n: b),
@@ -61,13 +66,14 @@ _CODECS = [
     Codec(11, "lz4-chunked", "hybrid", _chunked, _unchunked),
     Codec(12, "tans", "component", lambda d, w, lv: f.tans_encode(d), lambda b, w, n: f.tans_decode(b)),
     Codec(13, "rle", "component", lambda d, w, lv: f.rle_encode(d, w), lambda b, w, n: f.rle_decode(b, w, n)),
-    Codec(14, "bwt-mtf-huffman", "component", lambda d, w, lv: f.huffman_encode(f.mtf(f.bwt(d)[4:])) + f.bwt(d)[:4], lambda b, w, n: f.unbwt(b[-4:] + f.unmtf(f.huffman_decode(b[:-4])))),
+    Codec(14, "bwt-mtf-huffman", "component", _sorted_rotations, lambda b, w, n: f.unbwt(b[-4:] + f.unmtf(f.huffman_decode(b[:-4])))),
     Codec(15, "xor-plain", "foundational", lambda d, w, lv: f.xor_encode(d, w, reuse=False), lambda b, w, n: f.xor_decode(b, w, n, reuse=False)),
     Codec(16, "shuffle-zstd", "transform", lambda d, w, lv: _zstd(byte_shuffle(d, w), w, lv), lambda b, w, n: restore([_unzstd(b, w, n)], w, [list(range(w))], "byte", n // w)),
     Codec(17, "bitshuffle-zstd", "transform", lambda d, w, lv: _zstd(bit_shuffle(d, w), w, lv), lambda b, w, n: bit_unshuffle(_unzstd(b, w, n), w)),
     Codec(18, "predictive", "float", lambda d, w, lv: f.predictive_encode(d, w), lambda b, w, n: f.predictive_decode(b, w, n)),
     Codec(19, "hashed", "float", lambda d, w, lv: f.hashed_encode(d, w), lambda b, w, n: f.hashed_encode(b, w, decode=n)),
     Codec(20, "stride-lz", "float", lambda d, w, lv: f.stride_encode(d, w), lambda b, w, n: f.stride_decode(b, w, n)),
+    Codec(22, "predictive-2d", "float", lambda d, w, lv: f.predictive2_encode(d, w), lambda b, w, n: f.predictive2_decode(b, w, n)),
     Codec(21, "xor-of-128", "foundational", lambda d, w, lv: f.xor_encode(d, w, back=128), lambda b, w, n: f.xor_decode(b, w, n, back=128)),
 ]
 CODECS = {c.name: c for c in _CODECS}
@@ -79,3 +85,35 @@ TOOLS = ["zstd", "snappy", "lz4", "zlib", "bzip2", "lz4-chunked"]
 def stream_width(width: int, members: int, packing: str) -> int:
     """The word of word-wise codecs on a cluster stream: the cluster's bytes of a word if they lie together, else one byte."""
     return members if packing == "value" and members in (1, 2, 4, 8) else 1
+
+
+class streamed:  # noqa: N801
+    """Bytes that a tool makes of an unblocked stream: ``put`` pieces, ``close`` gives the size.  Nothing is kept."""
+
+    def __init__(self, name: str):
+        self.size = 0
+        if name == "lz4":
+            self.sink = pa.PythonFile(self, mode="w")
+            self.out = pa.CompressedOutputStream(self.sink, "lz4")
+            self.put, self.finish = self.out.write, self.out.close
+            return
+        import zstandard
+
+        c = {"zstd": lambda: zstandard.ZstdCompressor(level=3).compressobj(), "zlib": lambda: zlib.compressobj(6), "bzip2": lambda: bz2.BZ2Compressor(9)}[name]()
+        self.put, self.finish = lambda b: self.write(c.compress(b)), lambda: self.write(c.flush())
+
+    #: What Arrow asks of a file.
+    closed = False
+
+    def write(self, b) -> int:
+        self.size += len(b)
+        return len(b)
+
+    def flush(self) -> None:
+        pass
+
+    def close(self) -> int:
+        if not self.closed:
+            self.closed = True
+            self.finish()
+        return self.size

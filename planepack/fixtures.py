@@ -60,22 +60,40 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     return df.select(*cols) if cols else df
 
 
+def _rows(df: DataFrame, tbl: str) -> DataFrame:
+    return df.select("vec_id", F.posexplode("embedding").alias("dim", "x")) if tbl == "embeddings" else df
+
+
+def _value(name: str):
+    kind = {"f64": "double", "f32": "float", "f16": "float", "i64": "long", "i32": "int"}[DATASETS[name][2]]
+    return F.expr(DATASETS[name][1]).cast(kind)
+
+
+def _keys(name: str) -> list:
+    order = DATASETS[name][3]
+    return [(F.expr(order[i]) if i < len(order) else F.lit(0)).cast("long").alias(f"k{i + 1}") for i in range(KEYS)]
+
+
 def values(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """(dataset, k1..k5, value): only the value and its keys are read."""
-    tbl, value, word, order, _ = DATASETS[name]
-    df = table(spark, sf_dir, tbl)
-    if tbl == "embeddings":
-        df = df.select("vec_id", F.posexplode("embedding").alias("dim", "x"))
-    kind = {"f64": "double", "f32": "float", "f16": "float", "i64": "long", "i32": "int"}[word]
-    keys = [F.expr(order[i]).cast("long") if i < len(order) else F.lit(0).cast("long") for i in range(KEYS)]
-    return df.select(F.lit(name).alias("dataset"), *(k.alias(f"k{i + 1}") for i, k in enumerate(keys)), F.expr(value).cast(kind).alias("value"))
+    df = _rows(table(spark, sf_dir, DATASETS[name][0]), DATASETS[name][0])
+    return df.select(F.lit(name).alias("dataset"), *_keys(name), _value(name).alias("value"))
 
 
 def load(spark: SparkSession, sf_dir: str, names) -> DataFrame:
-    """(dataset, width, k1..k5, bits) of several datasets in one plan."""
-    parts = []
+    """(dataset, width, k1..k5, bits) of several datasets: one scan a table, whose columns leave it together as words."""
+    by_table: dict[str, list[str]] = {}
     for n in [names] if isinstance(names, str) else names:
-        word = DATASETS[n][2]
-        df = values(spark, sf_dir, n)
-        parts.append(df.select("dataset", F.lit(TYPES[word][0]).alias("width"), *(f"k{i + 1}" for i in range(KEYS)), word_bits(F.col("value"), word).alias("bits")))
+        by_table.setdefault(DATASETS[n][0], []).append(n)
+    parts = []
+    for tbl, held in by_table.items():
+        df = _rows(table(spark, sf_dir, tbl), tbl)
+        bits = {n: word_bits(_value(n), DATASETS[n][2]) for n in held}
+        if len(held) == 1:
+            (n,) = held
+            parts.append(df.select(F.lit(n).alias("dataset"), F.lit(width_of(n)).alias("width"), *_keys(n), bits[n].alias("bits")))
+            continue
+        df = df.select(*(F.struct(*_keys(n)).alias(f"__k{i}") for i, n in enumerate(held)), *(bits[n].alias(f"__b{i}") for i, n in enumerate(held)))
+        word = lambda i, n: F.struct(F.lit(n).alias("dataset"), F.lit(width_of(n)).alias("width"), *(F.col(f"__k{i}.k{j + 1}").alias(f"k{j + 1}") for j in range(KEYS)), F.col(f"__b{i}").alias("bits"))
+        parts.append(df.select(F.inline(F.array(*(word(i, n) for i, n in enumerate(held))))))
     return reduce(DataFrame.unionByName, parts)

@@ -268,19 +268,33 @@ def _tans_tables(freq, size: int):
 # ---------------------------------------------------------------- XOR with the previous word
 
 
+def _references(x: np.ndarray, back: int) -> list[int]:
+    """How far back the word lies, of the ``back`` before, whose xor ends in the most zeros; the nearest of equal ones."""
+    x = x.astype(np.uint64)
+    best, ref = np.zeros(len(x), np.uint64), np.ones(len(x), np.int64)
+    for k in range(1, min(back, len(x) - 1) + 1):
+        z = x[k:] ^ x[:-k]
+        z = (z & (~z + np.uint64(1))) - np.uint64(1)  # 2^zeros - 1; the largest number for equal words
+        better = z > best[k:]
+        best[k:][better] = z[better]
+        ref[k:][better] = k
+    return ref.tolist()
+
+
 def xor_encode(data: bytes, width: int, reuse: bool = True, back: int = 1) -> bytes:
     """First word raw; then xor with the word ``back`` before (or the best of 128 for back=128): zero is one bit, else the window of significant bits."""
     n = len(data) // width
     words = [int.from_bytes(data[i * width : (i + 1) * width], "little") for i in range(n)]
     bits, w, window = 8 * width, BitWriter(), None
     size = bits.bit_length()
+    refs = _references(np.frombuffer(data[: n * width], f"<u{width}"), back) if back > 1 else None
     for i, v in enumerate(words):
         if not i:
             w.put(v, bits)
             continue
         ref = 1
         if back > 1:
-            ref = max(range(1, min(i, back) + 1), key=lambda k: ((words[i - k] ^ v) & -(words[i - k] ^ v)).bit_length() if words[i - k] != v else bits + 1)
+            ref = refs[i]
             w.put(ref - 1, 7)
         x = words[i - ref] ^ v
         if not x:
@@ -482,6 +496,47 @@ def predictive_decode(b: bytes, width: int, total: int) -> bytes:
     return unordered_ints(np.cumsum(d, dtype=z.dtype)).tobytes() + (b[len(b) - tail :] if tail else b"")
 
 
+#: Row lengths that the two-dimensional predictor tries, in words; 0 is the previous value alone.
+ROWS = (0, 8, 16, 32, 64, 128, 256)
+
+
+def _residuals(y: np.ndarray, row: int) -> np.ndarray:
+    """Differences to left + above - above left, where rows follow each other; what lies before the first word counts as 0."""
+    d = np.diff(y, prepend=y.dtype.type(0))
+    if row:
+        up = np.zeros_like(d)
+        up[row:] = d[:-row]
+        d = d - up
+    return d
+
+
+def predictive2_encode(data: bytes, width: int) -> bytes:
+    """As the predictive codec, with the neighbours in a row and column as predictor; the row length with the fewest residual bits is kept."""
+    x, tail = _words(data, width)
+    y = ordered_ints(x)
+    best = None
+    for row in ROWS:
+        if row < max(1, len(y)):
+            d = _residuals(y, row)
+            s = d.view(np.dtype(f"i{width}"))
+            z = (d << d.dtype.type(1)) ^ (s >> (8 * width - 1)).view(d.dtype)
+            cost = float(np.log2(z.astype(float) + 1).sum())
+            if best is None or cost < best[0]:
+                best = cost, row, z
+    return struct.pack("<H", best[1]) + _classes(best[2], width) + tail
+
+
+def predictive2_decode(b: bytes, width: int, total: int) -> bytes:
+    tail = total % width
+    (row,) = struct.unpack_from("<H", b)
+    z = _unclasses(b[2 : len(b) - tail], width)
+    d = (z >> z.dtype.type(1)) ^ (~(z & z.dtype.type(1)) + z.dtype.type(1))
+    if row:  # sums down the columns undo the upper half of the predictor
+        padded = np.concatenate([d, np.zeros(-len(d) % row, d.dtype)]).reshape(-1, row)
+        d = np.cumsum(padded, axis=0, dtype=d.dtype).reshape(-1)[: len(d)]
+    return unordered_ints(np.cumsum(d, dtype=z.dtype)).tobytes() + (b[len(b) - tail :] if tail else b"")
+
+
 def hashed_encode(data: bytes, width: int, log: int = 12, decode: int | None = None) -> bytes:
     """Two hash-table predictors (of values and of differences); the better xor keeps its low bytes.  ``decode`` gives the inverse."""
     size, mask = 1 << log, (1 << 8 * width) - 1

@@ -38,6 +38,11 @@ def pp_entropy_agg(v: pd.Series) -> float:
     return entropy_of_counts(np.bincount(v.to_numpy().astype(np.int64), minlength=256))
 
 
+def pp_hist_agg(v: pd.Series) -> list[int]:
+    """Counts of the 256 byte values."""
+    return np.bincount(v.to_numpy().astype(np.int64), minlength=256).tolist()
+
+
 def pp_choose(v: pa.Array, score: pa.Array) -> pa.Array:
     """Partition from the feature vectors of the planes."""
     return pa.array([cluster.choose_partition(np.array(x, float), s) for x, s in zip(v.to_pylist(), score.to_pylist(), strict=True)], pa.list_(pa.list_(pa.int32())))
@@ -49,6 +54,13 @@ class PpSetPartitions:
             yield i, len(p), p
 
 
+class PpWords:
+    """Words of a decoded block image."""
+
+    def eval(self, data: bytes, width: int):
+        yield from enumerate(np.frombuffer(data, {8: "<i8", 4: "<i4", 2: "<i2"}[width]).tolist())
+
+
 class PpPlanes:
     def eval(self, bits: int, width: int):
         for p in range(width):
@@ -60,7 +72,7 @@ def _types() -> dict:
     return {
         "word_bits": (_bits64, "bigint", arrow_udf), "word_bits32": (_bits32, "bigint", arrow_udf), "bits_word": (_value64, "double", arrow_udf), "bits_word32": (_value32, "float", arrow_udf),
         "pp_entropy": (pp_entropy, "double", arrow_udf), "pp_encode": (pp_encode, "binary", arrow_udf), "pp_decode": (pp_decode, "binary", arrow_udf), "pp_pack": (pp_pack, "array<binary>", arrow_udf),
-        "pp_choose": (pp_choose, "array<array<int>>", arrow_udf), "pp_entropy_agg": (pp_entropy_agg, "double", pandas_udf),
+        "pp_choose": (pp_choose, "array<array<int>>", arrow_udf), "pp_entropy_agg": (pp_entropy_agg, "double", pandas_udf), "pp_hist_agg": (pp_hist_agg, "array<bigint>", pandas_udf),
     }
 
 
@@ -75,3 +87,4 @@ def register(spark: SparkSession) -> None:
         spark.udf.register(name, column(name))
     spark.udtf.register("pp_set_partitions", udtf(PpSetPartitions, returnType="part_id int, clusters int, partition array<array<int>>"))
     spark.udtf.register("pp_planes", udtf(PpPlanes, returnType="plane int, byte int"))
+    spark.udtf.register("pp_words", udtf(PpWords, returnType="pos int, bits bigint"))
