@@ -29,6 +29,8 @@ def opened(path: str) -> tuple[pa.fs.FileSystem, str]:
 
     if path.startswith("file:/") and not path.startswith("file://"):
         path = path.removeprefix("file:")
+    if path.startswith(("s3a://", "s3n://")):
+        path = f"s3{path[3:]}"
     return fs.FileSystem.from_uri(path) if "://" in path else (fs.LocalFileSystem(), path)
 
 
