@@ -45,16 +45,28 @@ def unescape(s: str) -> str:
     return re.sub(r"\\(.)", lambda m: _BACK[m[1]], s, flags=re.S) if "\\" in s else s
 
 
-FILTERS: dict[str, Callable] = {"escape": escape, "trim": str.strip, "upper": str.upper, "lower": str.lower, "length": len, "string": str}
-
-
 class TemplateError(ValueError):
     pass
 
 
+def _on_text(f: Callable) -> Callable:
+    return lambda v: f(v if isinstance(v, str) else "" if v is None else str(v))
+
+
+def _length(v) -> int:
+    try:
+        return len(v)
+    except TypeError as e:
+        raise TemplateError(f"{type(v).__name__} has no length") from e
+
+
+FILTERS: dict[str, Callable] = {**{k: _on_text(f) for k, f in (("escape", escape), ("trim", str.strip), ("upper", str.upper), ("lower", str.lower), ("string", str))}, "length": _length}
+
+
 # ---------------------------------------------------------------- parsing
 
-_TAG = re.compile(r"\{\{-?(.*?)-?\}\}|\{%-?(.*?)-?%\}|\{#.*?#\}", re.S)
+#: A minus inside a tag's brace takes the white space of the text on that side away.
+_TAG = re.compile(r"(?:\s*\{\{-|\{\{)(.*?)(?:-\}\}\s*|\}\})|(?:\s*\{%-|\{%)(.*?)(?:-%\}\s*|%\})|(?:\s*\{#-|\{#).*?(?:-#\}\s*|#\})", re.S)
 _TOKEN = re.compile(r"""\s*(?:(\d+)|('(?:[^'\\]|\\.)*'|"(?:[^"\\]|\\.)*")|([A-Za-z_]\w*)|(==|!=|[-+~<>.\[\]()|]))""", re.S)
 _CHARS = {"n": "\n", "t": "\t", "r": "\r"}
 
@@ -116,9 +128,14 @@ class _Expression:
         if level == 2 and self.take("not"):
             return ("not", self.binary(2))
         e = self.binary(level + 1)
-        while op := self.take(*self.LEVELS[level]):
-            e = ("binary", op, e, self.binary(level + 1))
-        return e
+        while True:
+            if level == 2 and self.peek("not") and self.i + 1 < len(self.t) and self.t[self.i + 1] == ("name", "in"):
+                self.i += 2
+                e = ("not", ("binary", "in", e, self.binary(level + 1)))
+            elif op := self.take(*self.LEVELS[level]):
+                e = ("binary", op, e, self.binary(level + 1))
+            else:
+                return e
 
     def postfix(self):
         e = self.atom()
@@ -229,9 +246,10 @@ def parse(source: str):
 def _apply(op, a, b):
     if op == "~":
         return f"{a}{b}"
-    if op == "in":
-        return a in b
-    return {"+": lambda: a + b, "-": lambda: a - b, "==": lambda: a == b, "!=": lambda: a != b, "<": lambda: a < b, ">": lambda: a > b}[op]()
+    try:
+        return {"+": lambda: a + b, "-": lambda: a - b, "==": lambda: a == b, "!=": lambda: a != b, "<": lambda: a < b, ">": lambda: a > b, "in": lambda: a in b}[op]()
+    except TypeError as e:
+        raise TemplateError(f"{op!r} does not fit {type(a).__name__} and {type(b).__name__}") from e
 
 
 def fold(e):

@@ -6,17 +6,14 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import gc
-import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from planepack.storage import scratch
+from planepack.storage import BROADCAST_ROWS, forget, scratch, small, written  # noqa: F401  (shared with the operators)
 
-#: Rows that a broadcast side may have; beyond it the join shuffles.
-BROADCAST_ROWS = 1_000_000
 #: Edges that one task may union in memory (16 bytes each); beyond it components are found by rounds of joins.
 LOCAL_EDGES = 2_000_000
 
@@ -28,39 +25,19 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     return df.select(*cols) if cols else df
 
 
-def written(df: DataFrame, what: str) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{scratch(spark)}/pp-{what}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._pp_path = path
-    return out
-
-
-def forget(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`written`."""
-    spark = df.sparkSession
-    path = spark._jvm.org.apache.hadoop.fs.Path(df._pp_path)
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
-def small(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """Broadcast hint behind a check of the row count; otherwise a shuffle join is left to Catalyst."""
-    return F.broadcast(df) if rows <= limit else df
-
-
-#: Rows of an Arrow batch between the JVM and Python workers: bounds both sides' memory on long texts.
+#: Rows that an operator takes at a time: bounds a worker's memory on long texts.
 ARROW_ROWS = 2000
 
 
 def arrow(df: DataFrame, fn, ddl) -> DataFrame:
-    """``mapInArrow`` in small batches, whose worker gives its memory back to the system when a task ends."""
-    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", ARROW_ROWS)
+    """``mapInArrow`` whose function gets small slices of the batches, and whose worker gives its memory back to the system when a task ends.
+
+    The session's own batch size stays as it is; Spark bounds a batch by bytes besides rows.
+    """
 
     def run(batches):
         try:
-            yield from fn(batches)
+            yield from fn(r.slice(lo, ARROW_ROWS) for r in batches for lo in range(0, r.num_rows, ARROW_ROWS))
         finally:
             gc.collect()
             pa.default_memory_pool().release_unused()

@@ -1,6 +1,8 @@
 """Benchmark decontamination with a generalised suffix automaton of the normalised test items.
 
-The automaton is built once over the words of all items (bounded by the benchmark, whose size is checked) and sent to the tasks.
+The automaton is built over the words of the items and sent to the tasks.  A benchmark of more than ``PART_CHARS`` characters is cut into parts with an
+automaton each; a task reads one part's automaton at a time and unites what the parts find, so the result is the same and memory stays bounded
+(by the longest single item beyond that).
 Training words stream through it; the longest matching length at each word tells which windows end there.  Words that are in no item,
 or whose neighbour pair is in no item, cannot lie in a window; they are skipped with array operations, so the automaton only steps
 through runs that could match.
@@ -15,17 +17,21 @@ reported; a null item_id counts as an item but its id is left out of the digest;
 from __future__ import annotations
 
 import hashlib
+import pickle
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from planepack.datasource import opened
+from planepack.storage import fresh
+
 from . import common as C
 
 WIDTH = 10
-#: Benchmark text that the driver may hold, in characters.
-MAX_BENCHMARK_CHARS = 200_000_000
+#: Benchmark text behind one automaton, in characters, and document text that a task holds against the parts in turn.
+PART_CHARS, HELD_CHARS = 4_000_000, 32_000_000
 #: A-Z lower-cased, every other ASCII byte that is no letter or digit becomes a space.
 NORMAL = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c > 127 else 32 for c in range(256))
 VOCAB_CACHE = 200_000
@@ -114,18 +120,14 @@ class SuffixAutomaton:
             return self.next[state][w], length + 1
         return 0, 0
 
-    def has_whole(self, codes: np.ndarray) -> bool:
-        """Whether an item that is one window itself occurs."""
-        return any(self.one[i] for i in self.scan(codes)[1])
-
-    def scan(self, codes: np.ndarray) -> tuple[np.ndarray, set[int]]:
-        """Hit flags of the words and the items whose windows occur.  codes: -1 for words of no item."""
+    def scan(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray, set[int]]:
+        """Hit flags of the words, flags of those inside an item that is one window itself, and the items whose windows occur.  codes: -1 for words of no item."""
         n = len(codes)
-        hit, found = np.zeros(n, np.int8), set()
+        marks, wholes, found = np.zeros(n + 1, np.int64), np.zeros(n + 1, np.int64), set()
         if self.shortest >= 2:
             both = codes[:-1] * self.v + codes[1:]
             if not len(self.pairs) or n < 2:
-                return hit[:n].astype(bool), found
+                return marks[:n] > 0, wholes[:n] > 0, found
             at = np.minimum(np.searchsorted(self.pairs, both), len(self.pairs) - 1)
             ok = (self.pairs[at] == both) & (codes[:-1] >= 0) & (codes[1:] >= 0)
             edge = np.diff(np.concatenate([[0], ok.astype(np.int8), [0]]))
@@ -133,24 +135,28 @@ class SuffixAutomaton:
         else:
             edge = np.diff(np.concatenate([[0], (codes >= 0).astype(np.int8), [0]]))
             starts, ends = np.nonzero(edge == 1)[0], np.nonzero(edge == -1)[0]
-        marks = np.zeros(n + 1, np.int64)
         long = ends - starts >= self.shortest
         for a, b in zip(starts[long].tolist(), ends[long].tolist(), strict=True):
             state, length = 0, 0
             for j, w in enumerate(codes[a:b].tolist(), a + 1):
                 state, length = self.step(state, length, w)
                 s = self.up[state]
-                most = 0
+                most = whole = 0
                 while s > 0:
                     for size, who in self.windows[s]:
                         if size <= length:
                             found.update(who)
                             most = max(most, size)
+                            if any(self.one[k] for k in who):
+                                whole = max(whole, size)
                     s = self.up[self.link[s]]
                 if most:
                     marks[j - most] += 1
                     marks[j] -= 1
-        return np.cumsum(marks)[:n] > 0, found
+                if whole:
+                    wholes[j - whole] += 1
+                    wholes[j] -= 1
+        return np.cumsum(marks)[:n] > 0, np.cumsum(wholes)[:n] > 0, found
 
 
 class _Codes(dict):
@@ -167,32 +173,85 @@ class _Codes(dict):
         return -1
 
 
-def automaton_of(benchmark: DataFrame, width: int = WIDTH) -> SuffixAutomaton:
-    """Items to the driver behind a check of their size."""
-    rows = benchmark.select(F.col("item_id").cast("string").alias("i"), F.col("text").alias("t"))
-    chars = rows.agg(F.coalesce(F.sum(F.length("t")), F.lit(0))).first()[0]
-    if chars > MAX_BENCHMARK_CHARS:
-        raise ValueError(f"the benchmark has {chars} characters; split it into parts of {MAX_BENCHMARK_CHARS} and join their results")
-    return SuffixAutomaton([(r.i, words_of(r.t.encode() if r.t is not None else None)) for r in rows.collect()], width)
+class Benchmark:
+    """The automata of all parts: one sent to the tasks, or a file each in the shared folder."""
+
+    def __init__(self, items: DataFrame, width: int = WIDTH, part_chars: int = PART_CHARS):
+        spark = items.sparkSession
+        rows = items.select(F.col("item_id").cast("string").alias("i"), F.col("text").alias("t"))
+        chars = rows.agg(F.coalesce(F.sum(F.length("t")), F.lit(0))).first()[0]
+        self.parts = max(1, -(-chars // part_chars))
+        self.files, self.held = [], None
+        for p in range(self.parts):  # one part at a time on the driver
+            mine = rows if self.parts == 1 else rows.filter(F.pmod(F.xxhash64("i", "t"), F.lit(self.parts)) == p)
+            auto = SuffixAutomaton([(r.i, words_of(r.t.encode() if r.t is not None else None)) for r in mine.collect()], width)
+            if self.parts == 1:
+                self.held = spark.sparkContext.broadcast(auto)
+            else:
+                path = fresh(spark, "automaton")
+                store, at = opened(path)
+                with store.open_output_stream(at) as f:
+                    pickle.dump(auto, f)
+                self.files.append(path)
+
+    def automata(self):
+        """One after the other."""
+        if self.held is not None:
+            yield self.held.value
+        for path in self.files:
+            store, at = opened(path)
+            with store.open_input_stream(at) as f:
+                yield pickle.load(f)
+
+    def scanned(self, batches, column: int):
+        """(batch, [(words, hit flags, whole-item flags, ids of the items)]): every batch with what all parts find in its texts; null texts have no words."""
+        if self.held is not None:
+            auto = self.held.value
+            codes = _Codes(auto.vocab)
+            for r in batches:
+                yield r, [_found(auto, codes, words_of(t)) for t in r.column(column).cast(pa.large_binary()).to_pylist()]
+            return
+        waiting, size = [], 0
+
+        def all_parts():
+            texts = [[words_of(t) for t in r.column(column).cast(pa.large_binary()).to_pylist()] for r in waiting]
+            out = [[(len(w), np.zeros(len(w), bool), np.zeros(len(w), bool), []) for w in x] for x in texts]
+            for auto in self.automata():
+                codes = _Codes(auto.vocab)
+                for x, y in zip(texts, out, strict=True):
+                    for w, (_, hit, whole, ids) in zip(x, y, strict=True):
+                        _, h, o, i = _found(auto, codes, w)
+                        hit |= h
+                        whole |= o
+                        ids += i
+            return zip(list(waiting), out, strict=True)
+
+        for r in batches:
+            waiting.append(r)
+            size += r.nbytes
+            if size > HELD_CHARS:
+                yield from all_parts()
+                waiting.clear()
+                size = 0
+        if waiting:
+            yield from all_parts()
+
+
+def _found(auto: SuffixAutomaton, codes, words: list[bytes]) -> tuple:
+    hit, whole, items = auto.scan(np.fromiter(map(codes.__getitem__, words), np.int64, len(words)))
+    return len(words), hit, whole, [auto.ids[i] for i in items]
 
 
-def hits(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
+def hits(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, part_chars: int = PART_CHARS) -> DataFrame:
     """Per row: doc_id, n_words, n_hit, n_items, items_sha256, contaminated."""
-    held = docs.sparkSession.sparkContext.broadcast(automaton_of(benchmark, width))
+    held = Benchmark(benchmark, width, part_chars)
     schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("n_items", pa.int64()), ("items_sha256", pa.string()), ("contaminated", pa.bool_())])
 
     def run(batches):
-        auto = held.value
-        codes = _Codes(auto.vocab)
-        for r in batches:
-            out = [[], [], [], []]
-            for t in r.column(1).cast(pa.large_binary()).to_pylist():
-                w = words_of(t)
-                hit, items = auto.scan(np.fromiter(map(codes.__getitem__, w), np.int64, len(w)))
-                ids = ",".join(sorted(str(auto.ids[i]) for i in items if auto.ids[i] is not None))
-                for x, y in zip(out, (len(w), int(hit.sum()), len(items), hashlib.sha256(ids.encode()).hexdigest()), strict=True):
-                    x.append(y)
-            yield C.batch(schema, r.column(0), *(pa.array(x, f.type) for x, f in zip(out, list(schema)[1:5], strict=True)), pa.array([h > 0 for h in out[1]], pa.bool_()))
+        for r, found in held.scanned(batches, 1):
+            digest = [hashlib.sha256(",".join(sorted(i for i in ids if i is not None)).encode()).hexdigest() for _, _, _, ids in found]
+            n_hit = [int(hit.sum()) for _, hit, _, _ in found]
+            yield C.batch(schema, r.column(0), pa.array([n for n, _, _, _ in found], pa.int64()), pa.array(n_hit, pa.int64()), pa.array([len(ids) for _, _, _, ids in found], pa.int64()), pa.array(digest, pa.string()), pa.array([h > 0 for h in n_hit], pa.bool_()))
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(C.arrow, run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
@@ -204,39 +263,37 @@ def _spans(text: bytes) -> tuple[np.ndarray, np.ndarray]:
     return np.nonzero(edge == -1)[0], np.nonzero(edge == 1)[0]
 
 
-def cleaned(text: bytes, auto: SuffixAutomaton, codes, min_words: int, max_coverage: float) -> bytes | None:
+def cleaned(text: bytes, hit: np.ndarray, whole: np.ndarray, min_words: int, max_coverage: float) -> bytes | None:
     """The text without its hit spans; None if too much of it is hit; unchanged text if nothing is.
 
     A span shorter than ``min_words`` is cut if it holds a whole item.
     """
-    w = words_of(text)
-    coded = np.fromiter(map(codes.__getitem__, w), np.int64, len(w))
-    hit, items = auto.scan(coded)
-    if not items:
+    if not hit.any():
         return text
-    if hit.sum() > max_coverage * len(w):
+    if hit.sum() > max_coverage * len(hit):
         return None
     a, b = _spans(text)
     edge = np.diff(np.concatenate([[0], hit.astype(np.int8), [0]]))
     out, at = [], 0
     for i, j in zip(np.nonzero(edge == 1)[0].tolist(), np.nonzero(edge == -1)[0].tolist(), strict=True):
-        if j - i >= min_words or auto.has_whole(coded[i:j]):
+        if j - i >= min_words or whole[i:j].any():
             out.append(text[at : a[i]])
             at = int(b[j - 1])
     return b"".join([*out, text[at:]])
 
 
-def remove_spans(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, min_words: int = WIDTH, max_coverage: float = 0.5) -> DataFrame:
-    """``docs`` with hit spans of at least ``min_words`` words, or of a whole item, cut out of ``text``; rows covered beyond ``max_coverage`` go."""
-    held = docs.sparkSession.sparkContext.broadcast(automaton_of(benchmark, width))
-    at = docs.columns.index("text")
+def remove_spans(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, min_words: int = WIDTH, max_coverage: float = 0.5, part_chars: int = PART_CHARS) -> DataFrame:
+    """``docs`` with hit spans of at least ``min_words`` words, or of a whole item, cut out of ``text``; rows covered beyond ``max_coverage`` go.
+
+    Null and empty texts, null ids, repeated rows and further columns of any name stay as they are; an empty table stays empty, and an empty
+    benchmark changes nothing.
+    """
+    held, at = Benchmark(benchmark, width, part_chars), docs.columns.index("text")
 
     def run(batches):
-        auto = held.value
-        codes = _Codes(auto.vocab)
-        for r in batches:
+        for r, found in held.scanned(batches, at):
             texts = r.column(at).cast(pa.large_binary()).to_pylist()
-            new = [None if t is None else cleaned(t, auto, codes, min_words, max_coverage) for t in texts]
+            new = [None if t is None else cleaned(t, hit, whole, min_words, max_coverage) for t, (_, hit, whole, _) in zip(texts, found, strict=True)]
             keep = pa.array([t is None or x is not None for t, x in zip(texts, new, strict=True)], pa.bool_())
             col = pa.array(new, pa.large_binary()).cast(pa.large_string()).cast(r.schema.field(at).type)
             yield r.set_column(at, r.schema.field(at), col).filter(keep)

@@ -508,20 +508,25 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
     ``n_class`` is the size of the component.  With ``links`` there is also ``n_links``: the other rows that this row links with.
     """
-    sizes, _, near, found = _searched(docs, id_col, text_col, n, num, den, block_tokens, local_edges, _tree_counts if links else _tree_forest)
+    sizes, nodes, near, found = _searched(docs, id_col, text_col, n, num, den, block_tokens, local_edges, _tree_counts if links else _tree_forest)
     found = C.written(found, "links") if links else found
     true = C.components(found.filter("b is not null").select("a", "b"), local_edges)
     n_true = true.count()
-    keyed = sizes.select("__id", "__n", "__fp").join(C.small(true.select(F.col("node").alias("__fp"), F.col("root").alias("__root")), n_true), "__fp", "left").withColumn("__root", F.coalesce("__root", "__fp"))
-    least = keyed.filter("__root is not null").groupBy("__root").agg(F.min("__id").alias("__least"), F.count(F.lit(1)).alias("__c")).filter("__c > 1")
-    out = keyed.join(least, "__root", "left")
+    # sets, not rows, meet on the component's key: however many copies a set has, it is one row there
+    keyed = nodes.select(F.col("node").alias("__fp"), "__id", "__copies").join(C.small(true.select(F.col("node").alias("__fp"), F.col("root").alias("__root")), n_true), "__fp", "left").withColumn("__root", F.coalesce("__root", "__fp"))
+    keyed = C.written(keyed, "keyed")
+    least = C.written(keyed.groupBy("__root").agg(F.min("__id").alias("__least"), F.sum("__copies").alias("__c")).filter("__c > 1"), "least")
+    own = keyed.join(C.small(least, least.count()), "__root").drop("__id", "__root")
+    if links:
+        others = found.filter("b is null").groupBy(F.col("a").alias("__fp")).agg(F.sum("n").alias("__links"))
+        own = own.join(C.small(others, n_true), "__fp", "left")
+    own = C.written(own, "own")
     C.forget(near)
+    apart = F.coalesce("__fp", -1 - F.pmod(F.xxhash64("__id"), F.lit(1 << 40)))  # rows without a set find nothing, and not all in one task
+    out = sizes.withColumn("__fp", apart).join(C.small(own, own.count()), "__fp", "left")
     cols = [F.col("__id").alias(id_col), F.col("__n").alias("n_shingles"), F.coalesce("__least", "__id").alias("component_id"), F.coalesce("__c", F.lit(1)).alias("n_class")]
     if links:
-        others = found.filter("b is null").groupBy(F.col("a").alias("__fp")).agg(F.sum("n").alias("__links"))
-        equal = keyed.filter("__fp is not null").groupBy("__fp").agg((F.count(F.lit(1)) - 1).alias("__equal")).filter("__equal > 0")
-        out = out.join(C.small(others, n_true), "__fp", "left").join(equal, "__fp", "left")
-        cols.append((F.coalesce("__links", F.lit(0)) + F.coalesce("__equal", F.lit(0))).alias("n_links"))
+        cols.append((F.coalesce("__links", F.lit(0)) + F.coalesce(F.col("__copies") - 1, F.lit(0))).alias("n_links"))
     return out.select(*cols)
 
 
@@ -537,10 +542,6 @@ def jaccard_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def op2(spark, sf_dir):
-    return jaccard_components(C.table(spark, sf_dir, "documents", "doc_id", "text"))
-
-
-def op2_links(spark, sf_dir):
     return jaccard_components(C.table(spark, sf_dir, "documents", "doc_id", "text"), links=True)
 
 
@@ -559,28 +560,32 @@ def drop_near_duplicates(docs: DataFrame, n: int = 5, num: int = 80, den: int =
     """Keep one row of each component: the one with the smallest id (nulls last), then fingerprint, then hash of the row.
 
     A row is told by its id and its set, so rows that share an id are judged on their own texts; of repeated rows one stays.
-    Rows without n-grams stay.
+    Rows without n-grams (null, empty or blank text) stay.  Further columns may have any name; an empty table stays empty.
     """
-    sizes, _, near, found = _searched(docs, "doc_id", "text", n, num, den, 8_000_000, C.LOCAL_EDGES, _tree_forest)
+    names = docs.columns
+    at, key = names.index("text"), names.index("doc_id")
+    plain = docs.toDF(*(f"d{i}" for i in range(len(names))))  # names of the table cannot clash with those of the joins
+    sizes, _, near, found = _searched(plain, f"d{key}", f"d{at}", n, num, den, 8_000_000, C.LOCAL_EDGES, _tree_forest)
     true = C.components(found.select("a", "b"))
     roots = C.small(true.select(F.col("node").alias("fp"), F.col("root").alias("__root")), true.count())
     rows = sizes.filter("__fp is not null").groupBy(F.col("__id").alias("id"), F.col("__fp").alias("fp")).agg(F.count(F.lit(1)).alias("__c")).join(roots, "fp", "left").withColumn("__root", F.coalesce("__root", "fp"))
+    rows = C.written(rows, "rows")
     order = F.struct(F.col("id").isNull().alias("none"), F.coalesce("id", F.lit(0)).alias("id"), F.col("fp").alias("fp"))
-    kept = rows.groupBy("__root").agg(F.min(order).alias("__kept"), F.sum("__c").alias("__all")).filter("__all > 1")
-    judged = rows.join(kept, "__root").select("id", "fp", (F.col("__kept") != order).alias("__gone"), "__c").filter("__gone or __c > 1")
+    kept = C.written(rows.groupBy("__root").agg(F.min(order).alias("__kept"), F.sum("__c").alias("__all")).filter("__all > 1"), "kept")
+    judged = rows.join(C.small(kept, kept.count()), "__root").select("id", "fp", (F.col("__kept") != order).alias("__gone"), "__c").filter("__gone or __c > 1")
     judged = C.written(judged, "judged")
     C.forget(near)
     count = judged.count()
     ids = C.small(judged.select(F.col("id").alias("__jid")).distinct().withColumn("__judged", F.lit(True)), count)
-    own = F.col("doc_id").cast("long")
-    marked = docs.join(ids, own.eqNullSafe(F.col("__jid")), "left").select(*docs.columns, F.coalesce("__judged", F.lit(False)).alias("__judged"))
-    schema = T.StructType([*docs.schema.fields, T.StructField("__fp", T.LongType())])
-    printed = marked.transform(C.arrow, partial(_printed, at=docs.columns.index("text"), n=n), schema)
+    own = F.col(f"d{key}").cast("long")
+    marked = plain.join(ids, own.eqNullSafe(F.col("__jid")), "left").select(*plain.columns, F.coalesce("__judged", F.lit(False)).alias("__judged"))
+    schema = T.StructType([*plain.schema.fields, T.StructField("__fp", T.LongType())])
+    printed = marked.transform(C.arrow, partial(_printed, at=at, n=n), schema)
     verdict = C.small(judged.select(F.col("id").alias("__jid"), F.col("fp").alias("__jfp"), "__gone"), count)
     both = printed.join(verdict, (F.col("__fp") == F.col("__jfp")) & own.eqNullSafe(F.col("__jid")), "left")
-    first = Window.partitionBy("doc_id", "__fp").orderBy(F.xxhash64(*docs.columns))
+    first = Window.partitionBy(f"d{key}", "__fp").orderBy(F.xxhash64(*plain.columns))
     repeated = both.filter("not __gone").withColumn("__row", F.row_number().over(first)).filter("__row = 1")
-    return both.filter("__gone is null").select(*docs.columns).union(repeated.select(*docs.columns))
+    return both.filter("__gone is null").select(*plain.columns).union(repeated.select(*plain.columns)).toDF(*names)
 
 
 OP2_SQL = r"""
@@ -591,6 +596,6 @@ p as (select a.rid as a, b.rid as b from g a join g b on a.g = b.g join n x on x
   group by a.rid, b.rid, x.n, y.n having 100 * count(*) >= 90 * (x.n + y.n - count(*))),
 r(a, b) as (select rid, rid from d union select r.a, p.b from r join p on r.b = p.a),
 c as (select r.a, min(d.doc_id) as least, count(*) as n_class from r join d on d.rid = r.b group by r.a)
-select d.doc_id, cast(coalesce(n.n, 0) as bigint) as n_shingles, c.least as component_id, c.n_class from d left join n using (rid) join c on c.a = d.rid
+select d.doc_id, cast(coalesce(n.n, 0) as bigint) as n_shingles, c.least as component_id, c.n_class, cast(coalesce(l.n_links, 0) as bigint) as n_links
+from d left join n using (rid) join c on c.a = d.rid left join (select a, count(*) as n_links from p group by a) l on l.a = d.rid
 """
-OP2_LINKS_SQL = OP2_SQL.replace("c.n_class from d", "c.n_class, cast(coalesce(l.n_links, 0) as bigint) as n_links from d").rstrip() + " left join (select a, count(*) as n_links from p group by a) l on l.a = d.rid\n"

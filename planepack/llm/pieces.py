@@ -29,13 +29,15 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
+#: The default of a parameter: a public vocabulary of the machine, never copied.
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 UNIT = re.compile(r" *[^ \n]+|\n| +")
 SHIFT, THETA, BYTE_LOGP = 50.0, 1.0, -20.0
 #: Edges of kept unit lattices a worker may hold (12 bytes each, and the units themselves).
-MAX_EDGES = 4_000_000
-ROWS = 256
+MAX_EDGES = 2_000_000
+#: Rows that are drawn together, and characters from which a unit is cut into its independent parts.
+ROWS, LONG = 256, 64
 _vocab: dict[str, tuple] = {}
 _tries: dict[str, tuple] = {}
 
@@ -209,11 +211,32 @@ class Lattices:
         self.n += len(node)
         self.nodes += n + len(units)
 
+    def split(self, unit: str) -> list[str]:
+        """A unit cut where no piece reaches over: its lattice falls apart there, so long runs without spaces are filtered and drawn side by side."""
+        text = np.frombuffer(unit.encode("utf-32-le", "surrogatepass"), np.uint32)
+        cls, n = self.trie.cls[text], len(text)
+        over = np.zeros(n + 1, np.int64)
+        alive, state = np.arange(n), np.zeros(n, np.int32)
+        for d in range(1, self.longest + 1):
+            state = self.trie.step(state, cls[alive + (d - 1)])
+            ok = state > 0
+            alive, state = alive[ok], state[ok]
+            if d > 1:  # a piece over s .. s + d bars the places between
+                s = alive[self.trie.piece[state] >= 0]
+                np.add.at(over, s + 1, 1)
+                np.add.at(over, s + d, -1)
+            ok = alive + d < n
+            alive, state = alive[ok], state[ok]
+            if not len(alive):
+                break
+        cuts = np.nonzero(np.cumsum(over)[1:n] == 0)[0] + 1
+        return [unit[a:b] for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), n], strict=True)]
+
     def sample(self, texts: list[str], keys: np.ndarray, seed: int) -> tuple[np.ndarray, np.ndarray]:
         """Piece ids of all texts in a row, and how many each has."""
         if self.n > MAX_EDGES:
             self.clear()
-        per_text = [UNIT.findall(" " + t) for t in texts]
+        per_text = [[x for u in UNIT.findall(" " + t) for x in (self.split(u) if len(u) > LONG else (u,))] for t in texts]
         sizes = np.array([len(x) for x in per_text], np.int64)
         units = [u for x in per_text for u in x]
         if not units:

@@ -30,12 +30,14 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"(?<![0-9a-f])[0-9a-f]{24,}")
 RUN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
 KINDS = {"assign": 0, "access": 1, "hex": 2, "random": 3}
-MIN_RUN, MAX_RATIO = 20, 2.2
+MIN_RUN, MAX_RATIO, STRETCH = 20, 2.2, 4096
 DIGEST = re.compile(r"(?:[0-9a-f]{32}|[0-9a-f]{40}|[0-9a-f]{56}|[0-9a-f]{64}|[0-9a-f]{96}|[0-9a-f]{128}|[0-9A-F]{32}|[0-9A-F]{40}|[0-9A-F]{64}|[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12})")
 MIXED = re.compile(r"[0-9][A-Za-z]|[a-z][0-9]")
 PIECE = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+")
+#: The default of a parameter: a public rank file of the machine, never copied.
 VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
-RATIO_CACHE = 200_000
+#: Runs whose verdict a worker keeps, and the longest of them.
+RATIO_CACHE, CACHED_RUN = 100_000, 200
 _encoders: dict[str, object] = {}
 
 
@@ -51,7 +53,9 @@ def encoder(path: str = VOCABULARY):
 
 
 def ratio(run: str, path: str = VOCABULARY) -> float:
-    return len(run) / max(1, len(encoder(path).encode_ordinary(run)))
+    """Characters per token; tokens are counted in stretches of ``STRETCH`` characters, so any length costs linear time."""
+    e = encoder(path)
+    return len(run) / max(1, sum(len(e.encode_ordinary(run[i : i + STRETCH])) for i in range(0, len(run), STRETCH)))
 
 
 def identifier(run: str, path: str, max_ratio: float) -> bool:
@@ -82,17 +86,23 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 def scan(text: str, path: str = VOCABULARY, max_ratio: float = MAX_RATIO, seen: dict | None = None) -> tuple[list, list]:
     """Base spans, and all spans with those that the token-efficiency test adds."""
     base = base_spans(text)
-    extra = []
-    seen = {} if seen is None else seen
+    extra, seen = [], {} if seen is None else seen
+    at = far = 0  # base spans that begin before the run's end, and where the last of them ends
     for m in RUN.finditer(text):
-        if not any(a < m.end() and m.start() < b for a, _, b in base):
-            run = m.group()
-            if (bad := seen.get(run)) is None:
+        while at < len(base) and base[at][0] < m.end():
+            far = max(far, base[at][2])
+            at += 1
+        if far > m.start():
+            continue
+        run = m.group()
+        if (bad := seen.get(run)) is None:
+            bad = exposes(run, path, max_ratio)
+            if len(run) <= CACHED_RUN:
                 if len(seen) >= RATIO_CACHE:
                     seen.clear()
-                bad = seen[run] = exposes(run, path, max_ratio)
-            if bad:
-                extra.append((m.start(), 3, m.end()))
+                seen[run] = bad
+        if bad:
+            extra.append((m.start(), 3, m.end()))
     return base, sorted(base + extra)
 
 
@@ -126,7 +136,11 @@ def redacted(text: str, spans) -> str:
 
 
 def redact(docs: DataFrame, vocabulary: str = VOCABULARY, max_ratio: float = MAX_RATIO) -> DataFrame:
-    """``docs`` with every span of ``text`` replaced by a mark of its kind; null texts stay null."""
+    """``docs`` with every span of ``text`` replaced by a mark of its kind.
+
+    Of overlapping spans the first is marked and the rest of the other goes with it.  Null and empty texts, repeated rows, null ids and further
+    columns of any name stay as they are; an empty table stays empty.
+    """
     at = docs.columns.index("text")
 
     def run(batches):
@@ -138,5 +152,24 @@ def redact(docs: DataFrame, vocabulary: str = VOCABULARY, max_ratio: float = MAX
     return docs.transform(C.arrow, run, docs.schema)
 
 
+_SQL = {"assign": r"""([pP][aA][sS][sS][wW][oO][rR][dD]|[pP][aA][sS][sS][wW][dD]|[sS][eE][cC][rR][eE][tT]|[tT][oO][kK][eE][nN]|[aA][pP][iI]_?[kK][eE][yY])["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)""", "access": "()(AKIA[A-Z0-9]+)", "hex": "()([0-9a-f]+)"}
+_LEAST = {"assign": 6, "access": 20, "hex": 24}
+#: Matches of a kind with what lies between them: the lengths before a match give its place.
+_MATCHES = " union all ".join(f"select rid, '{k}' as kind, {i} as n, {_LEAST[k]} as least, regexp_extract_all(t, '{p}') as found, regexp_extract_all(t, '{p}', 2) as core, string_split_regex(t, '{p}') as gaps from d" for i, (k, p) in enumerate(_SQL.items()))
+BASE_SQL = f"""
+with d as (select row_number() over () as rid, doc_id, coalesce(text, '') as t from documents), m as ({_MATCHES}),
+x as (select rid, kind, n, least, i, length(found[i]) as len, length(core[i]) as core, length(gaps[i]) as gap from m, unnest(range(1, len(found) + 1)) u(i)),
+s as (select *, sum(gap + len) over (partition by rid, n order by i) as stop from x),
+f as (select rid, kind, n, cast(stop - len as bigint) as start, cast(stop as bigint) as stop from s where core >= least),
+g as (select rid, count(*) filter (n = 0) as a, count(*) filter (n = 1) as b, count(*) filter (n = 2) as c, string_agg(kind || ':' || start || ':' || stop, ',' order by start, n) as spans from f group by rid)
+select doc_id, coalesce(a, 0) as n_assign, coalesce(b, 0) as n_access, coalesce(c, 0) as n_hex, sha256(coalesce(spans, '')) as base_sha256 from d left join g using (rid)
+"""
+
+
+def base_columns(spark, sf_dir):
+    """The columns of the scan that have a SQL form."""
+    return op6(spark, sf_dir).drop("spans")
+
+
 def op6(spark, sf_dir):
     return scan_secrets(C.table(spark, sf_dir, "documents", "doc_id", "text"))

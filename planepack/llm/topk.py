@@ -4,14 +4,15 @@ Queries are the rows whose id is divisible by ``every``; candidates are all rows
 query's id).  Components become ``floor(1024 * x)`` and the score is the integer inner product, exact in
 float64 while it stays under 2**53 (tiles with larger values use Python integers).
 
-A block of queries (bounded by ``block_queries``) is held against the whole table in one scan: each task cuts its rows into
-tiles, multiplies block x tile, keeps what can still enter a query's list, and merges tile after tile; the lists of
-the tasks merge by a ranked window, which Spark prunes to k rows per query before and after the shuffle.  More queries mean
-more blocks, each a scan of its own; nothing is cross-joined and no list exceeds k.
+Queries come in blocks of at most ``block_bytes`` of vectors.  A block is held against the whole table in one scan: each task cuts its rows into
+tiles, multiplies some thousand queries of the block at a time with a tile, keeps what can still enter a query's list, and merges tile after tile; the lists of
+the tasks merge by a ranked window, which Spark prunes to k rows per query before and after the shuffle, and the block's result is written before the
+next block is taken.  The driver and the tasks hold one block at a time; nothing is cross-joined and no list exceeds k.
 
 Defined results: a vector that is null, or holds null or non-finite components, or whose id is null, takes no part; vectors of
 another length than the query's take no part in its list; an empty table gives no rows; ties go to the smaller id.
-Repeated rows are separate candidates.
+Repeated rows are separate candidates; of rows that repeat a query's id the one whose vector comes first in the order of its components asks.  A score
+beyond 64 bits counts as the largest or smallest whole number of 64 bits.
 """
 
 from __future__ import annotations
@@ -23,7 +24,8 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-BLOCK_QUERIES, TILE = 4096, 8192
+#: Bytes of query vectors that are sent to the tasks at once, queries that meet a tile together, and rows of a tile.
+BLOCK_BYTES, ABREAST, TILE = 64 << 20, 4096, 8192
 _OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
 
@@ -98,42 +100,56 @@ class Lists:
         return C.batch(_OUT, self.ids[q], self.id[q, c], self.score[q, c])
 
 
-def _search(blocks: dict[int, tuple[np.ndarray, np.ndarray]], k: int):
+def _search(held, k: int):
+    """``held``: the broadcast block, (ids, vectors) by vector length."""
+
     def run(batches):
-        lists = {n: Lists(ids, v, k) for n, (ids, v) in blocks.items()}
+        lists = {n: [Lists(ids[lo : lo + ABREAST], v[lo : lo + ABREAST], k) for lo in range(0, len(ids), ABREAST)] for n, (ids, v) in held.value.items()}
         for r in batches:
             for n, (ids, m) in _matrices(r).items():
-                if n in lists:
+                for some in lists.get(n, ()):
                     for i in range(0, len(ids), TILE):
-                        lists[n].merge(ids[i : i + TILE], m[i : i + TILE])
+                        some.merge(ids[i : i + TILE], m[i : i + TILE])
         for x in lists.values():
-            if x.n.any():
-                yield x.rows()
+            for some in x:
+                if some.n.any():
+                    yield some.rows()
 
     return run
 
 
-def exact_topk(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 100, k: int = 10, block_queries: int = BLOCK_QUERIES) -> DataFrame:
-    rows = quantised(df, id_col, vec_col)
-    queries = rows.filter(F.col("vec_id") % every == 0)
-    n = queries.count()
-    blocks = max(1, -(-n // (block_queries * 3 // 4 or 1)))
+def _block(queries: DataFrame) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    held: dict[int, list] = {}
+    for r in queries.toArrow().to_batches():
+        for length, found in _matrices(r).items():
+            held.setdefault(length, []).append(found)
+    return {n: (np.concatenate([i for i, _ in x]), np.concatenate([m for _, m in x])) for n, x in held.items()}
+
+
+def _ranked(found: DataFrame, k: int) -> DataFrame:
+    """A tree of two levels: lists of some tasks merge first, then those of all."""
     best = Window.partitionBy("query_id", "part").orderBy(F.desc("score"), "vec_id")
+    some = found.withColumn("part", F.pmod(F.spark_partition_id(), F.lit(16))).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
+    last = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    return some.withColumn("rank", F.row_number().over(last).cast("int")).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def exact_topk(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 100, k: int = 10, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    spark = df.sparkSession
+    rows = quantised(df, id_col, vec_col)
+    queries = rows.filter(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
+    total = queries.agg(F.coalesce(F.sum(F.size("v").cast("long") * 8), F.lit(0))).first()[0]
+    blocks = 1 if total <= block_bytes else -(-total * 4 // (block_bytes * 3))  # room for the imbalance of the hash
     out = None
     for b in range(blocks):
-        mine = queries.filter(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b) if blocks > 1 else queries
-        held: dict[int, list] = {}
-        for r in mine.toArrow().to_batches():  # one block: bounded by block_queries up to hash imbalance and repeated ids
-            for length, (ids, m) in _matrices(r).items():
-                held.setdefault(length, []).append((ids, m))
-        block = {x: (np.concatenate([i for i, _ in y]), np.concatenate([m for _, m in y])) for x, y in held.items()}
-        block = {x: tuple(a[np.unique(i, return_index=True)[1]] for a in (i, m)) for x, (i, m) in block.items()}
-        found = rows.transform(C.arrow, _search(block, k), "query_id long, vec_id long, score long")
+        mine = queries if blocks == 1 else queries.filter(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b)
+        held = spark.sparkContext.broadcast(_block(mine))
+        found = _ranked(rows.transform(C.arrow, _search(held, k), "query_id long, vec_id long, score long"), k)
+        if blocks > 1:
+            found = C.written(found, "lists")
+            held.destroy()
         out = found if out is None else out.unionByName(found)
-    # a tree of two levels: lists of some tasks merge first, then those of all
-    out = out.withColumn("part", F.pmod(F.spark_partition_id(), F.lit(16))).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
-    last = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return out.withColumn("rank", F.row_number().over(last).cast("int")).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return out
 
 
 def op3(spark, sf_dir):
@@ -144,9 +160,11 @@ OP3_SQL = """
 with v as (
   select cast(vec_id as bigint) as vec_id, list_transform(embedding, lambda x: cast(floor(1024 * cast(x as double)) as bigint)) as e from embeddings
   where embedding is not null and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(embedding) > 0),
+q as (select vec_id, list_transform(min(list_transform(embedding, lambda x: cast(x as double))), lambda x: cast(floor(1024 * x) as bigint)) as e from embeddings
+  where vec_id % 100 = 0 and vec_id in (select vec_id from v) and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(embedding) > 0 group by vec_id),
 s as (
   select q.vec_id as query_id, c.vec_id as vec_id, cast(list_inner_product(cast(q.e as double[]), cast(c.e as double[])) as bigint) as score
-  from v q join v c on q.vec_id <> c.vec_id where q.vec_id % 100 = 0),
+  from q join v c on q.vec_id <> c.vec_id),
 r as (select query_id, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank, vec_id, score from s)
 select query_id, rank, vec_id, score from r where rank <= 10
 """

@@ -5,12 +5,13 @@ those probabilities are out-of-fold predictions, so a later model never learns f
 
 Features of a document are its distinct words, lower-cased, and the words' beginnings of 3 to 6 characters, counted once a distinct
 word; a chi-square test keeps the ``features`` strongest of each category.  The models are fitted on a bounded sample of labelled rows
-(the ``sample`` rows with the smallest hash of the id: the documented bound); scoring covers every row, in one narrow pass: a
+(the ``sample`` rows with the smallest hash of the id, up to ``chars`` characters: the documented bound); scoring covers every row, in one narrow pass: a
 word's weights are kept, so a row costs one lookup per distinct word.
 
 Categories are columns of the labels; ``low_quality`` is ``1 - quality``.  Defined results: null or empty text has no features and gets the
 models' intercepts, but is never rejected; without labelled rows (or with one class) a category's probability is its rate (0 without
-rows); repeated labels of a document count by their maximum.
+rows); repeated labels of a document count by their maximum, and of repeated documents one is fitted on and all are scored; a null id is scored and never fitted on;
+further columns of any name pass through the filter unchanged; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -20,13 +21,13 @@ import re
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common as C
 
 CHAIN = ("low_quality", "toxic")
-SAMPLE, FEATURES, FOLDS, L2 = 8_000, 600, 3, 0.05
+SAMPLE, SAMPLE_CHARS, FEATURES, FOLDS, L2 = 8_000, 60_000_000, 600, 3, 0.05
 WORD = re.compile(r"[^\W_]+")
 WORD_CACHE = 150_000
 
@@ -49,8 +50,10 @@ def _sigmoid(z):
 
 def fit_linear(x: np.ndarray, extra: np.ndarray, y: np.ndarray, rows: np.ndarray, steps: int = 120) -> np.ndarray:
     """L2-regularised logistic regression by accelerated gradient steps with a diagonal scale: [intercept, extra, features]."""
-    a = np.hstack([np.ones((len(y), 1), np.float32), extra.astype(np.float32), x])[rows]
-    y = y[rows].astype(np.float32)
+    y, k = y[rows].astype(np.float32), extra.shape[1]
+    a = np.empty((len(y), 1 + k + x.shape[1]), np.float32)
+    a[:, 0], a[:, 1 : 1 + k] = 1, extra[rows]
+    np.compress(rows, x, axis=0, out=a[:, 1 + k :])
     n = max(1, len(y))
     rate = float(np.clip(y.sum() / n, 1e-4, 1 - 1e-4))
     w = np.zeros(a.shape[1], np.float32)
@@ -58,7 +61,7 @@ def fit_linear(x: np.ndarray, extra: np.ndarray, y: np.ndarray, rows: np.ndarray
     if y.sum() in (0, len(y)):
         return w
     # the steepest curvature of the scaled problem, by a few power iterations
-    scale = np.sqrt(0.25 * (a**2).sum(0) + L2).astype(np.float32)
+    scale = np.sqrt(0.25 * np.einsum("ij,ij->j", a, a) + L2).astype(np.float32)
     a /= scale
     b = a
     v = np.ones(a.shape[1], np.float32)
@@ -101,18 +104,16 @@ class Chain:
     def __init__(self, names, texts: list[str], labels: np.ndarray, features: int = FEATURES, folds: int = FOLDS):
         self.names = list(names)
         m = len(self.names)
-        rows = [_hashed(t) for t in texts]
+        # one entry per row and feature, with the number of the row's words that have it
+        rows = [np.unique(_hashed(t), return_counts=True) for t in texts]
         n = max(1, len(rows))
-        owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-        flat = np.concatenate(rows) if rows else np.empty(0, np.uint64)
+        owner = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r, _ in rows])
+        flat = np.concatenate([r for r, _ in rows]) if rows else np.empty(0, np.uint64)
+        count = np.concatenate([c.astype(np.float32) for _, c in rows]) if rows else np.empty(0, np.float32)
         del rows
-        # one entry per row and feature, with the number of the row's words that have it
-        order = np.lexsort((owner, flat))
-        flat, owner = flat[order], owner[order]
-        new = np.concatenate([[True], (flat[1:] != flat[:-1]) | (owner[1:] != owner[:-1])]) if len(flat) else np.empty(0, bool)
-        at = np.nonzero(new)[0]
-        count = np.diff(np.concatenate([at, [len(flat)]])).astype(np.float32)
-        flat, owner = flat[at], owner[at]
+        order = np.argsort(flat, kind="stable")
+        flat, owner, count = flat[order], owner[order], count[order]
+        del order
         kinds, first, df = np.unique(flat, return_index=True, return_counts=True)
         kept = np.zeros(len(kinds), bool)
         for c in range(m):
@@ -138,7 +139,7 @@ class Chain:
                         names_of[h] = f
         index = {names_of[h]: i for i, h in enumerate(chosen.tolist())}
         rows = range(len(texts))
-        del flat, owner, count, inverse, take, order
+        del flat, owner, count, inverse, take
         fold = np.arange(len(rows)) % folds
         extra = np.zeros((len(rows), 0))
         self.bias, self.chained, weights = [], [], []
@@ -170,12 +171,15 @@ class Chain:
         return out
 
 
-def fit_chain(docs: DataFrame, labels: DataFrame, names=CHAIN, sample: int = SAMPLE) -> Chain:
-    """Fit on at most ``sample`` labelled rows, chosen by the hash of their ids."""
+def fit_chain(docs: DataFrame, labels: DataFrame, names=CHAIN, sample: int = SAMPLE, chars: int = SAMPLE_CHARS) -> Chain:
+    """Fit on at most ``sample`` labelled rows of at most ``chars`` characters in all, chosen by the hash of their ids."""
     col = {"low_quality": 1 - F.col("quality")}
     picked = labels.filter("doc_id is not null").groupBy("doc_id").agg(*(F.max(col.get(n, F.col(n) if n in labels.columns else F.lit(None))).cast("int").alias(n) for n in names)).dropna()
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).withColumnRenamed("doc_id", "__id")
-    rows = docs.select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("__id")).filter("text is not null").select("doc_id", "text", *names).toArrow().sort_by("doc_id")
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("__id")).filter("text is not null")
+    rows = rows.groupBy("doc_id", *names).agg(F.min("text").alias("text"))  # one row a document, whatever repeats
+    so_far = F.sum(F.length("text").cast("long")).over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))  # over at most ``sample`` rows
+    rows = rows.withColumn("__chars", so_far).filter(F.col("__chars") <= chars).select("doc_id", "text", *names).toArrow().sort_by("doc_id")
     labels = np.column_stack([rows[n].to_numpy() for n in names]) if rows.num_rows else np.zeros((0, len(names)))
     return Chain(names, rows["text"].to_pylist(), labels, FEATURES)
 

@@ -26,21 +26,30 @@ GLOBS = ("*.casino*\xff*", "*.adult-*\xff*", "*.free-bets*\xff*", "*.spam-*\xff*
 SEP = b"\xff"
 
 
+#: One byte whatever it is, and any run of bytes.
+ANY, RUN = -1, -2
+
+
+def glob(pattern: bytes) -> list[int]:
+    return [RUN if c == 0x2A else ANY if c == 0x3F else c for c in pattern]
+
+
 class ShiftAnd:
     """Multiword Shift-And over bytes for many globs; state bits in little-endian 64-bit words."""
 
-    def __init__(self, globs: list[bytes]):
+    def __init__(self, globs: list):
+        """Globs as bytes, or as lists of byte values with ``ANY`` and ``RUN`` for the two wildcards."""
         marks, self.accept = [], []  # per bit: which bytes lead to it, does it loop, does it start
         accepts, loops, starts = [], [], []
         for g in globs:
             starts.append(len(accepts))
             accepts.append(None)
             loops.append(False)
-            for c in g:
-                if c == 0x2A:
+            for c in glob(g) if isinstance(g, bytes) else g:
+                if c == RUN:
                     loops[-1] = True
                 else:
-                    accepts.append(-1 if c == 0x3F else c)
+                    accepts.append(c)
                     loops.append(False)
             self.accept.append(len(accepts) - 1)
         self.words = w = max(1, -(-len(accepts) // 64))
@@ -82,11 +91,6 @@ class ShiftAnd:
         return out
 
 
-def literal(s: str) -> bytes:
-    """Bytes of a rule's host or path; glob marks in it stand for any byte."""
-    return s.encode().replace(b"*", b"?")
-
-
 def split_url(df: DataFrame, url: str = "url") -> DataFrame:
     """Adds host and path, JVM-side."""
     at = F.locate("://", F.col(url))
@@ -99,7 +103,8 @@ def split_url(df: DataFrame, url: str = "url") -> DataFrame:
 def judge(pages: DataFrame, rules=RULES, globs=GLOBS) -> DataFrame:
     """page_id, host, path, rule, verdict per row."""
     ranked = sorted(rules, key=lambda r: (-len(r[1] + r[2]), r[0] != "block", r[1] + r[2]))
-    patterns = [b"*." + literal(h) + SEP + literal(p) + b"*" for _, h, p in ranked] + [g.encode("latin-1") for g in globs]
+    patterns = [[RUN, *b".", *h.encode(), *SEP, *p.encode(), RUN] for _, h, p in ranked]  # every character of a rule stands for itself
+    patterns += [g.encode("latin-1") for g in globs]
     schema = pa.schema([("page_id", pa.int64()), ("host", pa.string()), ("path", pa.string()), ("rule", pa.string()), ("verdict", pa.string())])
 
     def run(batches):
