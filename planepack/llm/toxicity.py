@@ -40,8 +40,43 @@ def words_of(text: str | None) -> set[str]:
     return set(WORD.findall(text.lower())) if text else set()
 
 
-def _hashed(text: str | None) -> np.ndarray:
-    return np.fromiter((xxhash.xxh3_64_intdigest(f) for w in words_of(text) for f in features_of(w)), np.uint64)
+class _Hashes(dict):
+    """Feature hashes of words."""
+
+    def __missing__(self, word: str) -> list[int]:
+        if len(self) >= WORD_CACHE:
+            self.clear()
+        self[word] = x = [xxhash.xxh3_64_intdigest(f) for f in features_of(word)]
+        return x
+
+
+def _counted(text: str | None, hashes: _Hashes) -> tuple[np.ndarray, np.ndarray]:
+    """Features of a text, and how many of its words have each."""
+    return np.unique(np.fromiter((h for w in words_of(text) for h in hashes[w]), np.uint64), return_counts=True)
+
+
+#: Texts whose features are counted together while fitting.
+CHUNK = 500
+
+
+def _frequencies(texts: list[str], labels: np.ndarray, hashes: _Hashes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted features of all texts, the texts that have each, and those of them in each category; a chunk of texts is held at a time."""
+    m = labels.shape[1]
+    kinds, df, pos = np.empty(0, np.uint64), np.empty(0), np.empty((0, m))
+    for lo in range(0, len(texts), CHUNK):
+        parts = [_counted(t, hashes)[0] for t in texts[lo : lo + CHUNK]]
+        flat = np.concatenate(parts)
+        if not len(flat):
+            continue
+        owner = np.repeat(np.arange(lo, lo + len(parts)), [len(x) for x in parts])
+        order = np.argsort(flat, kind="stable")
+        flat, y = flat[order], labels[owner[order]].astype(float)
+        first = np.nonzero(np.concatenate([[True], flat[1:] != flat[:-1]]))[0]
+        both, at = np.unique(np.concatenate([kinds, flat[first]]), return_inverse=True)
+        df = np.bincount(at, np.concatenate([df, np.diff(np.append(first, len(flat)))]), len(both))
+        pos = np.stack([np.bincount(at, np.concatenate([pos[:, c], np.add.reduceat(y[:, c], first)]), len(both)) for c in range(m)], 1)
+        kinds = both
+    return kinds, df, pos
 
 
 def _sigmoid(z):
@@ -104,42 +139,32 @@ class Chain:
     def __init__(self, names, texts: list[str], labels: np.ndarray, features: int = FEATURES, folds: int = FOLDS):
         self.names = list(names)
         m = len(self.names)
-        # one entry per row and feature, with the number of the row's words that have it
-        rows = [np.unique(_hashed(t), return_counts=True) for t in texts]
-        n = max(1, len(rows))
-        owner = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r, _ in rows])
-        flat = np.concatenate([r for r, _ in rows]) if rows else np.empty(0, np.uint64)
-        count = np.concatenate([c.astype(np.float32) for _, c in rows]) if rows else np.empty(0, np.float32)
-        del rows
-        order = np.argsort(flat, kind="stable")
-        flat, owner, count = flat[order], owner[order], count[order]
-        del order
-        kinds, first, df = np.unique(flat, return_index=True, return_counts=True)
+        n, hashes = max(1, len(texts)), _Hashes()
+        kinds, df, hit = _frequencies(texts, labels, hashes)
         kept = np.zeros(len(kinds), bool)
         for c in range(m):
-            y = labels[:, c].astype(float) if len(texts) else np.zeros(0)
-            rate = float(y.mean()) if len(texts) else 0.0
+            rate = float(labels[:, c].mean()) if len(texts) else 0.0
             if 0 < rate < 1:
-                pos = np.add.reduceat(y[owner], first)
-                score = np.where(df >= 3, (pos - df * rate) ** 2 / (df * rate * (1 - rate)) * (1 - df / n), -1.0)
+                score = np.where(df >= 3, (hit[:, c] - df * rate) ** 2 / (df * rate * (1 - rate)) * (1 - df / n), -1.0)
                 kept[np.lexsort((kinds, -score))[:features]] |= True
-            kept &= df >= 3
+        kept &= df >= 3
         chosen = kinds[kept]
-        column = np.cumsum(kept) - 1
-        inverse = np.repeat(np.arange(len(kinds)), df)
-        take = kept[inverse]
-        x = np.zeros((len(texts), len(chosen)), np.float32)
-        x[owner[take], column[inverse[take]]] = count[take]
-        names_of = {}
-        wanted = set(chosen.tolist())
-        for t in texts:
+        del kinds, df, hit, kept
+        x, names_of, wanted = np.zeros((len(texts), len(chosen)), np.float32), {}, set(chosen.tolist())
+        for i, t in enumerate(texts):
+            if not len(chosen):
+                break
+            k, count = _counted(t, hashes)
+            at = np.minimum(np.searchsorted(chosen, k), len(chosen) - 1)
+            has = chosen[at] == k
+            x[i, at[has]] = count[has]
             for w in words_of(t):
-                for f in features_of(w):
-                    if (h := xxhash.xxh3_64_intdigest(f)) in wanted:
+                for h, f in zip(hashes[w], features_of(w), strict=True):
+                    if h in wanted:
                         names_of[h] = f
         index = {names_of[h]: i for i, h in enumerate(chosen.tolist())}
+        hashes.clear()
         rows = range(len(texts))
-        del flat, owner, count, inverse, take
         fold = np.arange(len(rows)) % folds
         extra = np.zeros((len(rows), 0))
         self.bias, self.chained, weights = [], [], []
