@@ -26,14 +26,17 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 
 
 #: Rows that an operator takes at a time: bounds a worker's memory on long texts.
-ARROW_ROWS = 2000
+ARROW_ROWS = 1000
 
 
 def arrow(df: DataFrame, fn, ddl) -> DataFrame:
     """``mapInArrow`` whose function gets small slices of the batches, and whose worker gives its memory back to the system when a task ends.
 
-    The session's own batch size stays as it is; Spark bounds a batch by bytes besides rows.
+    Spark takes the size of the batches it sends from the session when the plan runs, so a larger setting is lowered to ``ARROW_ROWS``; a smaller one stays.
     """
+    conf, size = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(size)) <= ARROW_ROWS:
+        conf.set(size, ARROW_ROWS)
 
     def run(batches):
         try:

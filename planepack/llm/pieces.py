@@ -24,6 +24,7 @@ from functools import partial
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,8 +37,8 @@ UNIT = re.compile(r" *[^ \n]+|\n| +")
 SHIFT, THETA, BYTE_LOGP = 50.0, 1.0, -20.0
 #: Edges of kept unit lattices a worker may hold (12 bytes each, and the units themselves).
 MAX_EDGES = 2_000_000
-#: Rows that are drawn together, and characters from which a unit is cut into its independent parts.
-ROWS, LONG = 256, 64
+#: Rows that are drawn together, bytes of text after which no more join them, and characters from which a unit is cut into its independent parts.
+ROWS, CHARS, LONG = 256, 500_000, 64
 _vocab: dict[str, tuple] = {}
 _tries: dict[str, tuple] = {}
 
@@ -67,7 +68,7 @@ def vocabulary(path: str = MODEL):
 class PieceTrie:
     """Prefix trie of the pieces as arrays: a dense table for the commonest characters, a sorted key list for the rest."""
 
-    COMMON = 128
+    COMMON = 64
 
     def __init__(self, pieces: dict[str, tuple[int, float]]):
         count: dict[str, int] = {}
@@ -293,13 +294,23 @@ def decode(ids, raw: list[bytes]) -> str:
     return b"".join(map(raw.__getitem__, ids))[1:].decode("utf-8", "surrogatepass")
 
 
+def _slices(whole: pa.RecordBatch):
+    """Rows that are drawn together: at most ``ROWS``, and no more after ``CHARS`` bytes of text."""
+    size = pc.fill_null(pc.binary_length(whole.column(1)), 0).to_numpy().astype(np.int64)
+    lo = 0
+    while lo < whole.num_rows:
+        some = np.cumsum(size[lo : lo + ROWS])
+        n = min(len(some), int(np.searchsorted(some, CHARS)) + 1)
+        yield whole.slice(lo, n)
+        lo += n
+
+
 def _encode(batches, path, seed, theta, with_text):
     lat = Lattices(path, theta)
     fields = [("doc_id", pa.int64()), ("n_pieces", pa.int64()), ("ids", pa.list_(pa.int32())), ("lossless", pa.bool_())]
     schema = pa.schema(fields + ([("decoded", pa.string())] if with_text else []))
     for whole in batches:
-        for lo in range(0, whole.num_rows, ROWS):
-            r = whole.slice(lo, ROWS)
+        for r in _slices(whole):
             texts = r.column(1).to_pylist()
             keys = r.column(0).fill_null(0).to_numpy()
             there = [i for i, t in enumerate(texts) if t is not None]
