@@ -9,8 +9,9 @@ tiles, multiplies some thousand queries of the block at a time with a tile, keep
 the tasks merge by a ranked window, which Spark prunes to k rows per query before and after the shuffle, and the block's result is written before the
 next block is taken.  The driver and the tasks hold one block at a time; nothing is cross-joined and no list exceeds k.
 
-Defined results: a vector that is null, or holds null or non-finite components, or whose id is null, takes no part; vectors of
-another length than the query's take no part in its list; an empty table gives no rows; ties go to the smaller id.
+Defined results: a vector that is null, or holds null or non-finite components, or whose id is null, takes no part, nor
+does one with a component whose 1024-fold is beyond a double; vectors of another length than the query's take no part in its list; an empty table
+gives no rows; ties go to the smaller id.
 Repeated rows are separate candidates; of rows that repeat a query's id the one whose vector comes first in the order of its components asks.  A score
 beyond 64 bits counts as the largest or smallest whole number of 64 bits.
 """
@@ -32,7 +33,7 @@ _OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa
 def quantised(df: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     """Valid rows only, decided JVM-side: (vec_id, v array<double>)."""
     v = F.col(vec_col).cast("array<double>")
-    fine = F.col(id_col).isNotNull() & v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != F.lit(float("inf"))))
+    fine = F.col(id_col).isNotNull() & v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x * 1024.0) != F.lit(float("inf"))))
     return df.filter(fine).select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v"))
 
 
@@ -86,7 +87,7 @@ class Lists:
         query = np.concatenate([hq, q])
         score = np.concatenate([self.score[hq, hc], s[q, c]])
         vec = np.concatenate([self.id[hq, hc], ids[c]])
-        order = np.lexsort((vec, -score, query))
+        order = np.lexsort((vec, ~score, query))
         query, score, vec = query[order], score[order], vec[order]
         place = np.arange(len(query)) - np.searchsorted(query, query)
         keep = place < self.k

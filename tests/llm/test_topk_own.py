@@ -23,3 +23,11 @@ def test_lists_against_sorting():
     for j, i in enumerate(own):
         want = sorted(((-int(v[np.nonzero(ids == i)[0][0]] @ v[r]), int(ids[r])) for r in range(400) if ids[r] != i))[:5]
         assert list(zip((-lists.score[j]).tolist(), lists.id[j].tolist())) == want
+
+
+def test_components_at_the_edge_of_a_double(spark):
+    """A component that is too large for its 1024-fold takes no part; scores at the ends of 64 bits keep their order."""
+    rows = [(100, [1e300, 1.0]), (1, [1e300, 0.0]), (2, [-1e300, 0.0]), (3, [0.0, 1.0]), (4, [1.7e308, 0.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [(r.rank, r.vec_id, r.score) for r in topk.exact_topk(df).orderBy("rank").collect()]
+    assert got == [(1, 1, (1 << 63) - 1), (2, 3, 1 << 20), (3, 2, -(1 << 63))]
