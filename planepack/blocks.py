@@ -34,9 +34,12 @@ def plan_block_bytes(n_bytes: int, cores: int, most: int = BLOCK_BYTES, least: i
     return most
 
 
-def _sorted(df: DataFrame) -> DataFrame:
-    """Ranges of the whole key by sampled quantiles, so that a hot leading key is split as well; as many as the session's shuffle partitions."""
-    return df.repartitionByRange(*_ORDER).sortWithinPartitions(*_ORDER)
+def _sorted(df: DataFrame, unique: bool = False) -> DataFrame:
+    """Ranges of the whole key by sampled quantiles, so that a hot leading key is split as well; as many as the session's shuffle partitions.
+
+    With ``unique`` words of equal keys are in one task, whatever their bits, so that they are noticed there.
+    """
+    return df.repartitionByRange(*(_ORDER[:-1] if unique else _ORDER)).sortWithinPartitions(*_ORDER)
 
 
 def _starts(spans: DataFrame) -> DataFrame:
@@ -119,7 +122,7 @@ def gathered(df: DataFrame, end_bytes: int = BLOCK_BYTES, unique: bool = True) -
 
     ``end_bytes`` is the largest block to be cut from them.  With ``unique`` an order key that two words of a dataset share is an error.
     """
-    keyed = _sorted(df).select("dataset", "width", F.xxhash64(*_K).alias("key"), "bits")
+    keyed = _sorted(df, unique).select("dataset", "width", F.xxhash64(*_K).alias("key"), "bits")
     pieces = written(keyed.mapInArrow(_packed(end_bytes), _PIECE_DDL).withColumn("task", F.spark_partition_id().cast("long")), "pieces")
     if unique and (bad := pieces.filter("repeated > 0").select("dataset").limit(1).collect()):
         raise ValueError(f"the order of {bad[0].dataset} is not unique")

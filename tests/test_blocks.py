@@ -66,6 +66,18 @@ def test_empty_and_repeated_keys(spark):
         blocks.blocks(nulls, 64)
 
 
+def test_repeated_keys_at_the_edges_of_tasks(spark):
+    """Two words of one key, and more ranges than words: the repeat is noticed although a range could end between them."""
+    pairs = words(spark, [("a", 8, 1, i) for i in range(2)]).withColumn("k2", F.lit(0))
+    adaptive = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        with pytest.raises(ValueError, match="not unique"):
+            blocks.blocks(pairs, 64)
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def test_samples(spark):
     ids = spark.range(1000).select(F.lit("a").alias("dataset"), F.col("id").alias("block_id"))
     for share, n in ((0.04, 40), (0.25, 250), (0.3, 300)):
