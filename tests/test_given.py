@@ -10,7 +10,7 @@ from planepack.queries import ORACLES, QUERIES
 SF = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["partitions_15", "partitions_4140", "published_by_domain", "published_by_width", "published_table", "sql_choose", "sql_pack"])
+@pytest.mark.parametrize("name", ["partitions_15", "partitions_4140", "published_by_domain", "published_by_width", "published_table", "sql_choose", "sql_pack", "sql_set_partitions"])
 def test_reads_a_given_table(spark, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         QUERIES[name](spark, "/nowhere").collect()
